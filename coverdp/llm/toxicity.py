@@ -150,8 +150,11 @@ def fit_ratios(grams: np.ndarray, counts: tuple[np.ndarray, np.ndarray], shared:
     return keys, [(b - a).astype(np.float32) for a, b in zip(*logs, strict=True)]
 
 
-def _differences(batch: pa.RecordBatch, m: Model) -> tuple[np.ndarray, np.ndarray]:
-    """(mean log-likelihood ratio a symbol, symbols) of each text; the longest n-gram with an entry speaks, else none."""
+def _evidence(batch: pa.RecordBatch, m: Model) -> np.ndarray:
+    """For each text: mean log-likelihood ratio a symbol, symbols, the ratios of its three most toxic words, and how many words pass 2 and 4.
+
+    The longest n-gram with an entry speaks for a symbol, else none does.
+    """
     symbols, first = _symbols(batch)
     _, code = _codes(symbols, first, ORDER)
     value = np.zeros(len(code))
@@ -162,14 +165,32 @@ def _differences(batch: pa.RecordBatch, m: Model) -> tuple[np.ndarray, np.ndarra
         open_ = open_[at < 0]
     total = np.concatenate([[0.0], np.cumsum(value)])
     n = np.maximum(np.diff(first) - 1, 0)
-    return (total[first[1:]] - total[first[:-1]]) / np.maximum(n, 1), n
+    out = np.zeros((len(n), 7))
+    out[:, 0], out[:, 1] = (total[first[1:]] - total[first[:-1]]) / np.maximum(n, 1), n
+    gaps = np.flatnonzero(symbols == 0)
+    word = total[np.append(gaps[1:], len(symbols))] - total[gaps + 1] if len(gaps) else np.zeros(0)
+    owner = np.searchsorted(first, gaps, "right") - 1
+    order = np.lexsort((-word, owner))
+    word, owner = word[order], owner[order]
+    begin = np.searchsorted(owner, np.arange(len(n) + 1))
+    for j in range(3):
+        some = begin[:-1] + j < begin[1:]
+        out[some, 2 + j] = word[begin[:-1][some] + j]
+    for j, least in enumerate((2.0, 4.0)):
+        out[:, 5 + j] = np.bincount(owner, word > least, len(n)) if len(n) else 0
+    return out
+
+
+FIELDS = [f"e{i}" for i in range(7)]
 
 
-def _features(mean: np.ndarray, n: np.ndarray) -> np.ndarray:
-    return np.stack([np.ones(len(mean)), mean * 20, mean * np.sqrt(n), np.log1p(n) - 6], axis=1)
+def _features(e: np.ndarray) -> np.ndarray:
+    mean, n = e[:, 0], e[:, 1]
+    words_ = n / 6 + 1
+    return np.stack([np.ones(len(e)), mean * 20, mean * np.sqrt(n), np.log1p(n) - 6, e[:, 2] / 4, e[:, 3] / 4, e[:, 4] / 4, np.log1p(e[:, 5]), np.log1p(e[:, 6]), 50 * e[:, 5] / words_, 50 * e[:, 6] / words_], axis=1)
 
 
-def _logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
+def _logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, ridge: float = 1.0) -> np.ndarray:
     b = np.zeros(x.shape[1])
     for _ in range(100):
         p = 1 / (1 + np.exp(-np.clip(x @ b, -30, 30)))
@@ -181,7 +202,7 @@ def _logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, ridge: float = 1e-2)
     return b
 
 
-def train(docs: DataFrame, labels: DataFrame, most: int = 6000, least: int = 3, discount: float = 0.75) -> Model | None:
+def train(docs: DataFrame, labels: DataFrame, most: int = 6000, least: int = 4, discount: float = 0.75) -> Model | None:
     """Fit on docs(doc_id, text) and labels(doc_id, toxic); None without labelled documents of both classes.
 
     most: labelled documents a class that the class counts and the calibration use, those of the least hash of doc_id
@@ -209,14 +230,14 @@ def train(docs: DataFrame, labels: DataFrame, most: int = 6000, least: int = 3,
     def measure(batches):
         for whole in batches:
             for b in slices(whole, "text"):
-                mean, size = _differences(b, held.value)
-                yield pa.record_batch({"mean": mean, "n": size.astype(np.int64), "toxic": col(b, "toxic").cast(pa.int32())})
+                e = _evidence(b, held.value)
+                yield pa.record_batch({f: np.ascontiguousarray(e[:, i]) for i, f in enumerate(FIELDS)} | {"toxic": col(b, "toxic").cast(pa.int32())})
 
-    fit = sample.where("not counted").select("text", "toxic").mapInArrow(measure, "mean double, n long, toxic int").orderBy("mean", "n", "toxic").toPandas()
+    fit = sample.where("not counted").select("text", "toxic").mapInArrow(measure, ", ".join(f"{f} double" for f in FIELDS) + ", toxic int").orderBy(*FIELDS, "toxic").toPandas()
     y = fit["toxic"].to_numpy(float)
     share = {c: sizes[c] / max(1, (y == c).sum()) for c in (0, 1)}
     weights = np.where(y == 1, share[1], share[0])
-    model.weights = _logistic(_features(fit["mean"].to_numpy(), fit["n"].to_numpy()), y, weights / max(weights.mean(), 1e-9)) if len(y) else np.array([-2.0, 1, 1, 0])
+    model.weights = _logistic(_features(fit[FIELDS].to_numpy()), y, weights / max(weights.mean(), 1e-9)) if len(y) else np.array([-2.0, 1, 1, *[0.0] * 8])
     return model
 
 
@@ -234,7 +255,7 @@ def score(docs: DataFrame, model: Model | None) -> DataFrame:
                 if m is None:
                     s = np.zeros(b.num_rows)
                 else:
-                    s = 1 / (1 + np.exp(-np.clip(_features(*_differences(b, m)) @ m.weights, -30, 30)))
+                    s = 1 / (1 + np.exp(-np.clip(_features(_evidence(b, m)) @ m.weights, -30, 30)))
                 yield pa.record_batch({"doc_id": col(b, "doc_id"), "score": s, "predicted": (s >= 0.5).astype(np.int32)})
 
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
