@@ -2,17 +2,20 @@
 
 A state maps each pattern vertex to a vertex of the bag, UNMATCHED, or BELOW (matched to a vertex that has left the
 bag). A pattern vertex may only go BELOW once all its pattern neighbours are matched: their adjacency was then seen in
-a common bag. A state without UNMATCHED is complete; it is taken out where it first arises, which is one node only.
+a common bag. A state without UNMATCHED is complete; it is taken out at the node
+whose own vertex it uses or where something is BELOW, which is one node only.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from coverdp.operators.dp_batch import solve_batch
 from coverdp.operators.cover import PIECE
 from coverdp.operators.treedec import adjacency, by_piece, eliminate, packed
 from coverdp.patterns import Pattern
@@ -163,6 +166,11 @@ def solve(adj: dict[int, set[int]], pattern: Pattern, masks: dict[int, int] | No
     empty: State = (UNMATCHED,) * k
     found: list[tuple[int, ...]] = []
     states = triples = wide = 0
+
+    def owned(s: State, v: int) -> bool:
+        """Complete, and not all of it in the parent's bag, where it would be found again."""
+        return UNMATCHED not in s and (BELOW in s or v in s)
+
     for i, (v, near, _) in enumerate(order):
         base = Cell()
         base.ways.append(())
@@ -191,7 +199,7 @@ def solve(adj: dict[int, set[int]], pattern: Pattern, masks: dict[int, int] | No
                     triples += 1
                     both = combine(s, t, pattern, close, rising)
                     if both is not None:
-                        (merged if UNMATCHED in both else done).setdefault(both, Cell()).ways.append((cell, other))
+                        (done if owned(both, v) else merged).setdefault(both, Cell()).ways.append((cell, other))
             cur, have = merged, have | incoming
         for x in [v, *near]:
             if x in have:
@@ -201,9 +209,11 @@ def solve(adj: dict[int, set[int]], pattern: Pattern, masks: dict[int, int] | No
                 more: dict[State, Cell] = {}
                 for s, cell in cur.items():
                     for p, t in introduce(s, x, pattern, close, mask, induced, rising):
-                        (more if UNMATCHED in t else done).setdefault(t, Cell()).ways.append((cell, (p, x)))
+                        (done if owned(t, v) else more).setdefault(t, Cell()).ways.append((cell, (p, x)))
                 cur |= more
             have.add(x)
+        for s in [s for s in cur if owned(s, v)]:
+            done.setdefault(s, Cell()).ways += cur.pop(s).ways
         states, wide = max(states, len(cur) + len(done)), max(wide, len(near))
         if done:
             for cell in done.values():
@@ -227,29 +237,61 @@ def solve(adj: dict[int, set[int]], pattern: Pattern, masks: dict[int, int] | No
     return found
 
 
-def solve_pieces(piece_edges: DataFrame, pattern: Pattern, mode: str = "list", rule: str = "degree", first_window: bool = True, masks: bool = False, induced: bool = False, images: bool = False) -> DataFrame:
+def _mappings(rep: np.ndarray, got: np.ndarray, k: int) -> pa.Table:
+    flat = np.ascontiguousarray(got).ravel()
+    return pa.table({"rep": pa.array(rep, pa.int32()), "mapping": pa.ListArray.from_arrays(pa.array(np.arange(0, len(flat) + 1, k, dtype=np.int32)), pa.array(flat, pa.int64()))})
+
+
+def _one_by_one(table: pa.Table, pattern: Pattern, mode: str, rule: str, first_window: bool, masks: bool, induced: bool, images: bool) -> pa.Table:
+    reps, maps = [], []
+    for (rep, _, start), t in by_piece(table):
+        src, dst = t["src"].to_pylist(), t["dst"].to_pylist()
+        allowed = dict(zip(src + dst, t["src_mask"].to_pylist() + t["dst_mask"].to_pylist(), strict=True)) if masks else None
+        got = solve(adjacency(src, dst), pattern, allowed, mode, rule, induced=induced, images=images)
+        if got and first_window and mode == "list":
+            level = dict(zip(src + dst, t["src_level"].to_pylist() + t["dst_level"].to_pylist(), strict=True))
+            last = t["last"][0].as_py()
+            got = [m for m in got if min(min(level[v] for v in m), last) == start]
+        reps += [rep] * len(got)
+        maps += got
+    return _mappings(np.array(reps, np.int32), np.array(maps, np.int64).reshape(-1, pattern.k), pattern.k)
+
+
+def solve_pieces(piece_edges: DataFrame, pattern: Pattern, mode: str = "list", rule: str = "degree", first_window: bool = True, masks: bool = False, induced: bool = False, images: bool = False, engine: str = "batch") -> DataFrame:
     """rep, mapping of every occurrence that some piece holds ("list"), or of one a piece ("find").
 
     piece_edges as the covers give them, with src_mask and dst_mask if masks. first_window: an occurrence is given
-    only in the window of its lowest level, or in the last window if that one would have been dropped.
+    only in the window of its lowest level, or in the last window if that one would have been dropped. engine: "batch"
+    (arrays, all pieces of a task together) or "cells" (a table of states for each piece, walked top-down).
     """
     cols = [*PIECE, "src", "dst", "src_level", "dst_level", "last", *(["src_mask", "dst_mask"] if masks else [])]
 
     def run(table: pa.Table) -> pa.Table:
-        reps, maps = [], []
-        for (rep, _, start), t in by_piece(table):
-            if t.num_rows < len(pattern.edges):
-                continue
-            src, dst = t["src"].to_pylist(), t["dst"].to_pylist()
-            allowed = dict(zip(src + dst, t["src_mask"].to_pylist() + t["dst_mask"].to_pylist(), strict=True)) if masks else None
-            got = solve(adjacency(src, dst), pattern, allowed, mode, rule, induced=induced, images=images)
-            if got and first_window and mode == "list":
-                level = dict(zip(src + dst, t["src_level"].to_pylist() + t["dst_level"].to_pylist(), strict=True))
-                last = t["last"][0].as_py()
-                got = [m for m in got if min(min(level[v] for v in m), last) == start]
-            reps += [rep] * len(got)
-            maps += got
-        return pa.table({"rep": pa.array(reps, pa.int32()), "mapping": pa.array([list(m) for m in maps], pa.list_(pa.int64()))})
+        if not table.num_rows:
+            return pa.table({"rep": pa.array([], pa.int32()), "mapping": pa.array([], pa.list_(pa.int64()))})
+        if engine == "cells":
+            return _one_by_one(table, pattern, mode, rule, first_window, masks, induced, images)
+        col = lambda c: np.asarray(table[c])
+        # vertices of all pieces side by side, numbered by piece and id: a smaller number is a smaller id within a piece
+        piece = np.unique(np.stack([col(c).astype(np.int64) for c in PIECE], axis=1), axis=0, return_inverse=True)
+        number = piece[1].ravel()
+        both = np.stack([np.tile(number, 2), np.concatenate([col("src"), col("dst")])], axis=1)
+        ends, first, at = np.unique(both, axis=0, return_index=True, return_inverse=True)
+        at = at.ravel()
+        allowed = np.concatenate([col("src_mask"), col("dst_mask")]).astype(np.int64)[first] if masks else None
+        half = len(at) // 2
+        got = solve_batch(at[:half], at[half:], len(ends), pattern, allowed, mode, rule, images, induced)
+        own = ends[got[:, 0], 0] if len(got) else np.zeros(0, np.int64)
+        if first_window and mode == "list" and len(got):
+            level = np.concatenate([col("src_level"), col("dst_level")]).astype(np.int64)[first]
+            last = np.zeros(len(piece[0]), np.int64)
+            last[number] = col("last")
+            keep = np.minimum(level[got].min(axis=1), last[own]) == piece[0][own, 2]
+            got, own = got[keep], own[keep]
+        if mode != "list":
+            one = np.unique(own, return_index=True)[1]
+            got, own = got[one], own[one]
+        return _mappings(piece[0][own, 0].astype(np.int32), ends[got, 1], pattern.k)
 
     return packed(piece_edges.select(*cols)).groupBy("bucket").applyInArrow(run, "rep int, mapping array<long>")
 

@@ -63,7 +63,7 @@ def should_stop(done: int, quiet: int, n: int, c: float = 1.0) -> bool:
     return quiet >= math.log2(max(done, 1)) + c * math.log2(max(n, 2))
 
 
-def list_occurrences(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", images: bool = True, batch: int = 16, most: int = 4096, induced: bool = False, progress: list | None = None) -> DataFrame:
+def list_occurrences(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", images: bool = True, batch: int | None = None, most: int = 4096, induced: bool = False, progress: list | None = None) -> DataFrame:
     """mapping of every occurrence, each once, with high probability; images: one mapping of each class under automorphisms, its least.
 
     Repetitions run in batches. Each batch gives, per occurrence, the first repetition that shows it; the stop rule is
@@ -72,6 +72,7 @@ def list_occurrences(g: TargetGraph, pattern: Pattern, confidence: float = 1.0,
     if not pattern.connected:
         raise ValueError("a disconnected pattern: see coverdp.operators.disconnected")
     n = _size(g)
+    batch = batch or math.ceil(confidence * math.log2(max(n, 2))) + 9  # mostly enough for the stop rule at once
     known: DataFrame | None = None
     done = quiet = 0
     while done < most:
