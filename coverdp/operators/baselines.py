@@ -23,7 +23,7 @@ def color_coding_decide(g: TargetGraph, pattern: Pattern, confidence: float = 1.
     while done < most and not found:
         batch = min(batch, most - done)
         c = g.vertices.select("id", F.explode(F.sequence(F.lit(done), F.lit(done + batch - 1))).alias("rep"))
-        c = materialise(c.select("rep", "id", F.shiftleft(F.lit(1), F.floor(uniform(seed, F.lit("cc"), "rep", "id") * k).cast("int")).alias("bit")))
+        c = materialise(c.select("rep", "id", F.pow(F.lit(2), F.floor(uniform(seed, F.lit("cc"), "rep", "id") * k)).cast("int").alias("bit")))
         order = pattern.order
         df = c.select("rep", F.col("id").alias(f"v{order[0]}"), F.col("bit").alias("used"))
         for i, p in enumerate(order[1:], 1):

@@ -14,10 +14,15 @@ FACE = 1 << 58
 
 
 def embedding_from_xy(g: TargetGraph) -> DataFrame:
-    """darts(src, dst, nsrc, ndst): each arc with the one after it on the face to its left, from straight-line coordinates."""
+    """darts(src, dst, nsrc, ndst): each arc with the one after it on the face to its left, from straight-line coordinates.
+
+    One vertex may lie at infinity (x infinite): its edges leave the others away from the origin.
+    """
     at = g.vertices.select("id", "x", "y")
     a = g.arcs.join(at.select(F.col("id").alias("src"), F.col("x").alias("sx"), F.col("y").alias("sy")), "src").join(at.select(F.col("id").alias("dst"), F.col("x").alias("dx"), F.col("y").alias("dy")), "dst")
-    w = W.partitionBy("src").orderBy(F.atan2(F.col("dy") - F.col("sy"), F.col("dx") - F.col("sx")), "dst")
+    far = lambda c: F.coalesce(F.abs(F.col(c)) == float("inf"), F.lit(False))
+    angle = F.when(far("dx"), F.atan2("sy", "sx")).when(far("sx"), -F.atan2("dy", "dx")).otherwise(F.atan2(F.col("dy") - F.col("sy"), F.col("dx") - F.col("sx")))
+    w = W.partitionBy("src").orderBy(angle, "dst")
     everywhere = w.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
     turn = a.select("src", "dst", F.coalesce(F.lag("dst").over(w), F.last("dst").over(everywhere)).alias("before"))
     # after u -> v comes v -> (the neighbour before u around v)

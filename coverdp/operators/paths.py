@@ -24,7 +24,7 @@ def compose(outer: Unary, inner: Unary) -> Unary:
         return l1, m1
     if m2 == m1 or m1 >= l2:
         return 0, m2
-    return (0, m2) if m1 + 1 == l2 else (l2, m2)
+    return (l1, m2) if m1 + 1 == l2 else (l2, m2)
 
 
 def _apply(lo: Column, m: Column, x: Column) -> Column:
@@ -85,7 +85,7 @@ def _contracted(tree: DataFrame, seed: int, most: int) -> DataFrame:
         l2, m2, l1, m1 = (F.col(c) for c in ("lo", "m", "l1", "m1"))
         inner = F.struct(l1.alias("lo"), m1.alias("m"))
         zero = F.struct(F.lit(0).alias("lo"), m2.alias("m"))
-        both = F.when(l2.isNull(), inner).when(l1.isNull(), F.struct(l2.alias("lo"), m2.alias("m"))).when(m2 < m1, inner).when((m2 == m1) | (m1 >= l2) | (m1 + 1 == l2), zero).otherwise(F.struct(l2.alias("lo"), m2.alias("m")))
+        both = F.when(l2.isNull(), inner).when(l1.isNull(), F.struct(l2.alias("lo"), m2.alias("m"))).when(m2 < m1, inner).when((m2 == m1) | (m1 >= l2), zero).when(m1 + 1 == l2, F.struct(l1.alias("lo"), m2.alias("m"))).otherwise(F.struct(l2.alias("lo"), m2.alias("m")))
         merged = pairs.select("node", both.alias("f"))
         skipped.append(pairs.select(F.col("c").alias("node"), F.col("l1").alias("lo"), F.col("m1").alias("m"), F.lit(r).alias("round")))
         gone = pairs.select(F.col("c").alias("node"), F.col("node").alias("over"))

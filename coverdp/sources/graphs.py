@@ -170,7 +170,7 @@ def nation_ring(spark: SparkSession, d: str, hubs: int = 0) -> TargetGraph:
     v = n.select(F.col("k").alias("id"), F.lit("nation").alias("label"), F.cos(angle).alias("x"), F.sin(angle).alias("y"))
     for h in range(hubs):
         edges = edges.union(n.select(*_pair(F.col("k"), F.lit(KIND + h))))
-        v = v.union(spark.range(1).select(F.lit(KIND + h), F.lit("hub"), F.lit(0.0) if h == 0 else F.lit(1e6), F.lit(0.0)))
+        v = v.union(spark.range(1).select(F.lit(KIND + h), F.lit("hub"), F.lit(0.0) if h == 0 else F.lit(float("inf")), F.lit(0.0)))
     return target_graph(v, edges)
 
 
@@ -185,10 +185,10 @@ def supplier_antiprism_graph(spark: SparkSession, d: str) -> TargetGraph:
     upper = s.where(r < rings - 1)
     edges = edges.union(upper.select(*_pair(F.col("k"), to(r + 1, j)))).union(upper.select(*_pair(F.col("k"), to(r + 1, j + 1))))
     edges = edges.union(s.where(r == 0).select(*_pair(F.col("k"), F.lit(KIND)))).union(s.where(r == rings - 1).select(*_pair(F.col("k"), F.lit(KIND + 1))))
-    # rings as growing polygons, each turned by half a step; the outer pole far away
-    angle, radius = (j - r / 2) * (2 * math.pi / 5), r + 1
+    # rings as polygons of twice the size each, turned by half a step; the outer pole at infinity
+    angle, radius = (j - r / 2) * (2 * math.pi / 5), F.pow(F.lit(2.0), r)
     v = s.select(F.col("k").alias("id"), F.lit("supplier").alias("label"), (radius * F.cos(angle)).alias("x"), (radius * F.sin(angle)).alias("y"))
-    v = v.union(spark.createDataFrame([(KIND, "pole", 0.0, 0.0), (KIND + 1, "pole", 1e6, 0.0)], "id long, label string, x double, y double"))
+    v = v.union(spark.createDataFrame([(KIND, "pole", 0.0, 0.0), (KIND + 1, "pole", float("inf"), 0.0)], "id long, label string, x double, y double"))
     return target_graph(v, edges)
 
 
