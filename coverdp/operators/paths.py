@@ -87,7 +87,8 @@ def _contracted(tree: DataFrame, seed: int, most: int) -> DataFrame:
         zero = F.struct(F.lit(0).alias("lo"), m2.alias("m"))
         both = F.when(l2.isNull(), inner).when(l1.isNull(), F.struct(l2.alias("lo"), m2.alias("m"))).when(m2 < m1, inner).when((m2 == m1) | (m1 >= l2), zero).when(m1 + 1 == l2, F.struct(l1.alias("lo"), m2.alias("m"))).otherwise(F.struct(l2.alias("lo"), m2.alias("m")))
         merged = pairs.select("node", both.alias("f"))
-        skipped.append(pairs.select(F.col("c").alias("node"), F.col("l1").alias("lo"), F.col("m1").alias("m"), F.lit(r).alias("round")))
+        open_kids = live.select(F.col("node").alias("kid"), F.col("parent").alias("c")).union(fresh.select("node", "parent"))
+        skipped.append(materialise(pairs.select("c", F.col("l1").alias("lo"), F.col("m1").alias("m")).join(open_kids, "c")))
         gone = pairs.select(F.col("c").alias("node"), F.col("node").alias("over"))
         live = live.join(gone.select("node"), "node", "left_anti").join(merged, "node", "left").withColumn("lo", F.when(F.col("f").isNotNull(), F.col("f.lo")).otherwise(F.col("lo"))).withColumn("m", F.when(F.col("f").isNotNull(), F.col("f.m")).otherwise(F.col("m"))).drop("f")
         # children of the ones that went hang on the node above
@@ -97,10 +98,9 @@ def _contracted(tree: DataFrame, seed: int, most: int) -> DataFrame:
         fresh = materialise(fresh.join(moved, "parent", "left").select("node", F.coalesce("over", "parent").alias("parent"), "layer"))
     known = materialise(known)
     for gone in reversed(skipped):
-        # a node that went had one unknown child left; by now that child's layer is known
-        left = gone.join(known.select("node"), "node", "left_anti")
-        kid = tree.join(known, "node").groupBy(F.col("parent").alias("node"), "layer").agg(F.count("*").alias("n")).groupBy("node").agg(F.max(F.struct("layer", "n")).alias("t"))
-        known = materialise(known.union(left.join(kid, "node").select("node", (F.col("t.layer") + F.when(F.col("t.n") > 1, 1).otherwise(0)).cast("int").alias("layer"))))
+        # a node that went had one child left, itself known by now: its function gives its layer
+        below = known.select(F.col("node").alias("kid"), "layer")
+        known = materialise(known.union(gone.join(below, "kid").select(F.col("c").alias("node"), _apply(F.col("lo"), F.col("m"), F.col("layer")).cast("int").alias("layer"))))
     return known
 
 
