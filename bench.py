@@ -14,7 +14,7 @@ from coverdp import patterns as P
 from coverdp.operators import search
 from coverdp.sources import graphs
 
-HEADLINE = ("lattice_edges", "list_triangles_lattice", "decide_triangle_lattice", "list_triangles_join_baseline", "cluster_partition", "layer_numbers_hierarchy", "vertex_face_graph_lattice", "funnel_paths_events", "op_agg_degree_histogram", "op_join_interval_events")
+HEADLINE = ("lattice_edges", "list_c4_gabriel", "decide_triangle_lattice", "list_triangles_join_baseline", "cluster_partition", "layer_numbers_hierarchy", "vertex_face_graph_lattice", "funnel_paths_events", "op_agg_degree_histogram", "op_join_interval_events")
 
 
 def main() -> None:

@@ -467,10 +467,10 @@ def _enumerate(s, d):
 
 @query("separating_uncontracted_counterexample", "SELECT FALSE AS contracted, TRUE AS uncontracted")
 def _uncontracted(s, d):
-    # a ring: removing one edge's ends never separates it, but a window by itself looks separated
+    # a ring: removing three in a row never separates it, but a window by itself looks separated
     g = fixed(G.nation_ring(s, d))
     marked = g.vertices.select("id")
-    return one(s, contracted=connectivity.decide_separating(g, P.EDGE, marked), uncontracted=connectivity.decide_separating(g, P.EDGE, marked, contract_rest=False))
+    return one(s, contracted=connectivity.decide_separating(g, P.WEDGE, marked), uncontracted=connectivity.decide_separating(g, P.WEDGE, marked, contract_rest=False))
 
 
 # guards, bounds and simulations
