@@ -22,7 +22,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coverdp.llm.textkit import BASE, BYTE_CODE, U, col, mix, powers, slices, text_bytes
+from coverdp.llm.textkit import BYTE_CODE, U, col, mix, powers, slices, span_hashes, text_bytes
 from coverdp.runtime import materialise
 
 GRAM = 20
@@ -142,7 +142,7 @@ def _grams(buckets: int, length: int):
 
 
 def _shared(table: pa.Table) -> pa.Table:
-    """(doc_id, keys): of a bucket's keys those with two documents or more."""
+    """(doc_id, key): of a bucket's keys those with two documents or more."""
     key, doc, know_k, know_d = [], [], [], []
     for known, k, d in zip(table["known"].to_pylist(), table["keys"].to_pylist(), table["docs"].to_pylist(), strict=True):
         (know_k if known else key).append(_unpack(k)), (know_d if known else doc).append(_release(d, np.int64))
@@ -158,10 +158,7 @@ def _shared(table: pa.Table) -> pa.Table:
         keep = repeated[group] & (d != MULTI)
         out_k, out_d = [*know_k, k[keep]], [*know_d, d[keep]]
     k, d = (np.concatenate(x) if x else np.zeros(0, t) for x, t in ((out_k, U), (out_d, np.int64)))
-    order = np.argsort(d, kind="stable")
-    k, d = k[order], d[order]
-    parts = np.split(np.arange(len(d)), np.flatnonzero(np.diff(d)) + 1) if len(d) else []
-    return pa.table({"doc_id": pa.array([int(d[p[0]]) for p in parts], pa.int64()), "keys": pa.array([k[p].tobytes() for p in parts], pa.binary())})
+    return pa.table({"doc_id": d, "key": k.view(np.int64)})
 
 
 def _squeeze(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -184,11 +181,13 @@ def _runs(buckets: int, length: int, longest: int):
             open_ = zstandard.ZstdDecompressor()
             first: dict[bytes, tuple[int, int, list[int]]] = {}  # document, bucket, places
             spans: list[tuple[int, int, int]] = []
-            for doc, z, answers in zip(col(whole, "doc_id").to_pylist(), col(whole, "z").to_pylist(), col(whole, "keys").to_pylist(), strict=True):
+            lists = col(whole, "keys")
+            values, ends = np.asarray(lists.flatten()).view(U), np.cumsum(np.asarray(lists.value_lengths()))
+            for doc, z, end, begin in zip(col(whole, "doc_id").to_pylist(), col(whole, "z").to_pylist(), ends.tolist(), [0, *ends[:-1].tolist()], strict=True):
                 raw = open_.decompress(z)
                 data = np.frombuffer(raw, np.uint8)
                 at, key = window_keys(data, np.array([0, len(data)]), length)
-                wanted = np.unique(np.frombuffer(b"".join(answers), U))
+                wanted = np.unique(values[begin:end])
                 place = np.minimum(np.searchsorted(wanted, key), len(wanted) - 1)
                 hit = np.flatnonzero(wanted[place] == key)
                 if not len(hit):
@@ -248,8 +247,9 @@ def merge_transforms(transforms: list[np.ndarray], ends: list[int], rounds: int)
     """
     sizes = np.array([len(t) for t in transforms])
     symbols = np.concatenate(transforms)
-    shard = np.repeat(np.arange(len(sizes)), sizes).astype(np.int32)
-    closing = np.repeat(np.arange(len(sizes)), ends).astype(np.int32)
+    kind = np.uint16 if len(sizes) < 1 << 16 else np.int64  # short keys sort by radix
+    shard = np.repeat(np.arange(len(sizes)), sizes).astype(kind)
+    closing = np.repeat(np.arange(len(sizes)), ends).astype(kind)
     start = np.cumsum(sizes) - sizes
     n = len(symbols)
     lcp = np.full(n, rounds, np.int32)
@@ -307,6 +307,32 @@ def least_documents(shards: list[list[tuple[bytes, int]]], length: int) -> list[
 MERGE_BYTES = 1 << 20
 
 
+def _may_share(data: np.ndarray, offs: np.ndarray, key: np.ndarray, length: int) -> np.ndarray:
+    """Which strings may share a window with another string of their key.
+
+    A window holds its least gram and length - GRAM bytes more, so at least half of these on one side of it: strings
+    that share one agree there. Strings with the gram twice are always let through.
+    """
+    half = (length - GRAM) // 2
+    h = _gram_hashes(data)
+    begin, end = offs[:-1], offs[1:] - GRAM + 1
+    edges = np.stack([begin, np.minimum(end, len(h))], axis=1).ravel()
+    edges = edges[:-1] if edges[-1] >= len(h) else edges
+    least = np.minimum.reduceat(h, edges)[::2]
+    owner = np.searchsorted(offs, np.arange(len(h)), "right") - 1
+    at = np.flatnonzero((h == least[owner]) & (np.arange(len(h)) < end[owner]))
+    places = np.bincount(owner[at], minlength=len(begin))
+    first = np.zeros(len(begin), np.int64)
+    first[owner[at[::-1]]] = at[::-1]
+    out = places > 1
+    for side, lo, hi in ((1, first - half, first), (2, first + GRAM, first + GRAM + half)):
+        able = np.flatnonzero((lo >= offs[:-1]) & (hi <= offs[1:]))
+        context = mix(key[able] * U(2 * side + 1) + span_hashes(data, lo[able], hi[able]))
+        _, group, n = np.unique(context, return_inverse=True, return_counts=True)
+        out[able] |= n[group] > 1
+    return out
+
+
 def _spans(least: np.ndarray, lo: int, own: int, length: int) -> list[tuple[int, int]]:
     hit = np.flatnonzero(least < own)
     if not len(hit):
@@ -333,10 +359,8 @@ def _resolve(length: int):
         offs = np.cumsum([0, *map(len, pieces)])
         at_, key = window_keys(data, offs, length) if pieces else (np.zeros(0, np.int64), np.zeros(0, U))
         key_of = dict(zip(pieces, key[np.searchsorted(at_, offs[:-1])].tolist(), strict=True)) if pieces else {}
-        kinds: dict[int, int] = {}
-        for k in key_of.values():
-            kinds[k] = kinds.get(k, 0) + 1
-        # a key with one string has nothing to merge; the others go by key into sets of bounded size
+        # a string that no other can share a window with has nothing to merge; the others go by key into sets of bounded size
+        alone = {p for p, x in zip(pieces, _may_share(data, offs, np.array([key_of[p] for p in pieces], U), length).tolist(), strict=True) if not x} if pieces else set()
         answer: dict[bytes, np.ndarray] = {}
         todo: dict[int, list[list[tuple[bytes, int]]]] = {}
         sent: set[bytes] = set()
@@ -345,7 +369,7 @@ def _resolve(length: int):
         for s, shard in enumerate(shards):
             for piece, _, _ in shard:
                 k = key_of[piece]
-                if kinds[k] == 1 or piece in sent:
+                if piece in alone or piece in sent:
                     continue
                 sent.add(piece)
                 if k not in part_of:
@@ -390,8 +414,8 @@ def repeated_spans(docs: DataFrame, length: int = 50) -> DataFrame:
     buckets = max(16, 2 * src.rdd.getNumPartitions())
     longest = length - GRAM + 1
     sent = src.mapInArrow(_grams(buckets, length), "bucket int, known boolean, keys binary, docs binary")
-    shared = materialise(sent.groupBy("bucket").applyInArrow(_shared, "doc_id long, keys binary"))
-    answers = shared.groupBy("doc_id").agg(F.collect_list("keys").alias("keys"))
+    shared = materialise(sent.groupBy("bucket").applyInArrow(_shared, "doc_id long, key long"))
+    answers = shared.groupBy("doc_id").agg(F.collect_list("key").alias("keys"))
     pressed = src.mapInArrow(_squeeze, "doc_id long, z binary")
     runs = materialise(pressed.join(answers, "doc_id").select("doc_id", "z", "keys").mapInArrow(_runs(buckets, length, longest), "bucket int, docs binary, at binary, sizes binary, raw binary"))
     solved = runs.where("bucket >= 0").groupBy("bucket").applyInArrow(_resolve(length), "doc_id long, at long, stop long")
