@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from coverdp.llm.textkit import U, col, mix, slices, span_hashes
 
 #: Words that a worker remembers before it starts afresh.
-REMEMBER = 200_000
+REMEMBER = 150_000
 
 
 def _hashes(keys: list[bytes]) -> np.ndarray:
@@ -75,8 +75,7 @@ class Codec:
         self.at_slot = np.zeros(len(keys), np.int64)
         self.at_slot[self.table.slots(h)] = [ranks[k] for k in keys]
         self.bytes_of = {r: k for k, r in ranks.items()}
-        self.known: dict[str, tuple[int, ...]] = {}
-        self.written: dict[str, str] = {}
+        self.known: dict[str, tuple[int, str, bytes]] = {}  # ids, the ids in decimal, what they decode to
         self.split = None
 
     @classmethod
@@ -85,7 +84,7 @@ class Codec:
             return cls({base64.b64decode(a): int(b) for a, b in (x.split() for x in lines if x.strip())}, pattern)
 
     def __getstate__(self):
-        return self.__dict__ | {"known": {}, "written": {}, "split": None}
+        return self.__dict__ | {"known": {}, "split": None}
 
     def merge(self, word: bytes) -> tuple[int, ...]:
         """Second tier: the best-ranked adjacent pair first, from a heap with stale entries, over a doubly linked list."""
@@ -112,15 +111,15 @@ class Codec:
     def learn(self, tokens: set[str]) -> None:
         """Both tiers for pre-tokens that this worker hasn't met."""
         if len(self.known) > REMEMBER:
-            self.known.clear(), self.written.clear()
+            self.known.clear()
         new = [t for t in tokens if t not in self.known]
         raw = [t.encode("utf-8", "surrogatepass") for t in new]
         if not new:
             return
         ids = self.at_slot[self.table.slots(_hashes(raw))].tolist()
         for t, b, i in zip(new, raw, ids, strict=True):
-            self.known[t] = own = (i,) if self.bytes_of[i] == b else self.merge(b)
-            self.written[t] = " ".join(map(str, own))
+            own = (i,) if self.bytes_of[i] == b else self.merge(b)
+            self.known[t] = len(own), " ".join(map(str, own)), self.decode(own)
 
     def pretokens(self, text: str) -> list[str]:
         if self.split is None:
@@ -130,7 +129,7 @@ class Codec:
     def encode(self, text: str) -> list[int]:
         toks = self.pretokens(text)
         self.learn(set(toks))
-        return [i for t in toks for i in self.known[t]]
+        return [int(i) for t in toks for i in self.known[t][1].split(" ")]
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -139,8 +138,11 @@ class Codec:
         """(number of ids, SHA-256 of the ids in decimal, SHA-256 of their decoding)."""
         toks = self.pretokens(text)
         self.learn(set(toks))
-        ids = [i for own in map(self.known.__getitem__, toks) for i in own]
-        return len(ids), hashlib.sha256(" ".join(map(self.written.__getitem__, toks)).encode()).hexdigest(), hashlib.sha256(self.decode(ids)).hexdigest()
+        if not toks:
+            toks = [""]
+            self.known[""] = 0, "", b""
+        n, written, raw = zip(*map(self.known.__getitem__, toks), strict=True)
+        return sum(n), hashlib.sha256(" ".join(written).encode()).hexdigest(), hashlib.sha256(b"".join(raw)).hexdigest()
 
 
 def _source(docs: DataFrame) -> DataFrame:
