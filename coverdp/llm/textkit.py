@@ -57,7 +57,7 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[offs[0] : offs[-1]], offs - offs[0]
 
 
-def slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str, most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Pieces of a batch with about `most` bytes of text, one row at least: memory doesn't follow the batch's row count."""
     _, offs = text_bytes(batch.column(batch.schema.get_field_index(column)))
     at, n = 0, batch.num_rows
