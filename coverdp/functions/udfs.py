@@ -5,10 +5,11 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 
-@pandas_udf("array<int>")
+@pandas_udf(T.ArrayType(T.IntegerType()))
 def decode_match(code: pd.Series, k: pd.Series, base: pd.Series) -> pd.Series:
     """The k digits of a packed partial match, last pattern vertex first: 0 unmatched, 1 below, from 2 on a slot of the bag; given as -1, -2, 0, 1, ..."""
 
@@ -22,7 +23,7 @@ def decode_match(code: pd.Series, k: pd.Series, base: pd.Series) -> pd.Series:
     return pd.Series([digits(int(c), int(n), int(b)) for c, n, b in zip(code, k, base, strict=True)])
 
 
-@udtf(returnType="src: bigint, dst: bigint")
+@udtf(returnType=T.StructType([T.StructField("src", T.LongType()), T.StructField("dst", T.LongType())]))
 class RingEdges:
     """The edges of a ring of n vertices."""
 
