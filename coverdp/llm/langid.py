@@ -15,42 +15,67 @@ from coverdp.llm.textkit import U, col, mix, slices
 CLASSES = 64
 
 
+#: Documents and distinct trigrams that are bundled at once.
+DOCS, GRAMS = 128, 8192
+
+
 @cache
 def _letter_classes() -> np.ndarray:
     out = np.zeros(0x110000, np.uint8)
-    for cp in range(0x20000):
-        if chr(cp).isalpha():
-            out[cp] = cp - 96 if 97 <= cp <= 122 else 27 + int(mix(np.array([cp], U))[0] % U(CLASSES - 27))
+    letters = np.array([cp for cp in range(0x40000) if chr(cp).isalpha()])  # no letters stand beyond
+    out[letters] = U(27) + mix(letters.astype(U)) % U(CLASSES - 27)
+    out[97:123] = np.arange(1, 27)
     return out
 
 
 @cache
-def _trigram_vectors(dim: int, seed: int) -> np.ndarray:
-    """One letter vector a class; a trigram binds the first twice permuted, the second once permuted and the third."""
-    rng = np.random.RandomState(seed)
-    letters = rng.choice(np.array([-1, 1], np.int8), (CLASSES, dim))
-    two = np.roll(letters, 2, axis=1)[:, None] * np.roll(letters, 1, axis=1)[None]
-    return (two.reshape(-1, 1, dim) * letters[None]).reshape(-1, dim)
-
-
-def _profiles(batch: pa.RecordBatch, dim: int, seed: int):
-    """For each row its bundled vector, or None where the text has no letters."""
-    table, vectors = _letter_classes(), _trigram_vectors(dim, seed)
-    for text in col(batch, "text").to_pylist():
-        if not text:
-            yield None
-            continue
-        cls = table[np.frombuffer(text.lower().encode("utf-32-le", "replace"), np.uint32)]
-        cls = np.concatenate([[0], cls, [0]]).astype(np.int64)
-        cls = cls[(cls > 0) | np.concatenate([[True], cls[:-1] > 0])]
-        if len(cls) < 3:
-            yield None
-            continue
-        grams, counts = np.unique((cls[:-2] * CLASSES + cls[1:-1]) * CLASSES + cls[2:], return_counts=True)
-        out = np.zeros(dim, np.float32)
-        for at in range(0, len(grams), 2048):
-            out += counts[at : at + 2048].astype(np.float32) @ vectors[grams[at : at + 2048]].astype(np.float32)
-        yield out
+def _places(dim: int, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """One letter vector a class, as it's bound in each place: the first twice permuted, the second once, the third not."""
+    letters = np.random.RandomState(seed).choice(np.array([-1, 1], np.int8), (CLASSES, dim))
+    return np.roll(letters, 2, axis=1), np.roll(letters, 1, axis=1), letters
+
+
+def _bundles(texts: list[str | None], dim: int, seed: int) -> np.ndarray:
+    """A row for each text: the sum of its trigrams' vectors, zeros where it has no letters."""
+    out = np.zeros((len(texts), dim), np.float32)
+    lower = [(t or "").lower() for t in texts]
+    cls = _letter_classes()[np.frombuffer(" ".join(["", *lower, ""]).encode("utf-32-le", "replace"), np.uint32)]
+    doc = np.repeat(np.arange(-1, len(texts), dtype=np.int32), [1, *(len(t) + 1 for t in lower)])
+    keep = np.ones(len(cls), bool)
+    keep[1:] = (cls[1:] > 0) | (cls[:-1] > 0)
+    cls, doc = cls[keep].astype(np.int32), doc[keep]
+    if len(cls) < 3:
+        return out
+    gram = (cls[:-2] * CLASSES + cls[1:-1]) * CLASSES + cls[2:]
+    # a gap in the middle may stand between two texts
+    own = (cls[1:-1] > 0) | (doc[:-2] == doc[2:])
+    gram, doc = gram[own], np.where(cls[1:-1] > 0, doc[1:-1], doc[:-2])[own]
+    there = np.zeros(CLASSES**3, bool)
+    there[gram] = True
+    names = np.flatnonzero(there)
+    rank = np.cumsum(there, dtype=np.int32)[gram] - 1
+    first, second, third = _places(dim, seed)
+    for at in range(0, len(names), GRAMS):
+        part = names[at : at + GRAMS]
+        r, d = rank - at, doc
+        if len(names) > GRAMS:
+            near = (r >= 0) & (r < GRAMS)
+            r, d = r[near], d[near]
+        counts = np.bincount(d.astype(np.int64) * len(part) + r, minlength=len(texts) * len(part)).reshape(len(texts), -1)
+        bound = first[part // CLASSES**2] * second[part // CLASSES % CLASSES] * third[part % CLASSES]
+        out += counts.astype(np.float32) @ bound.astype(np.float32)
+    return out
+
+
+def _profiles(batch: pa.RecordBatch, dim: int, seed: int) -> np.ndarray:
+    """Unit vectors of a batch's rows, zeros for texts without letters."""
+    texts = col(batch, "text").to_pylist()
+    found = np.concatenate([_bundles(texts[i : i + DOCS], dim, seed) for i in range(0, len(texts), DOCS)])
+    return found / np.maximum(np.linalg.norm(found, axis=1, keepdims=True), 1e-9)
+
+
+def _has_letters(text: str | None) -> bool:
+    return any(map(str.isalpha, text or ""))
 
 
 def train(docs: DataFrame, dim: int = 512, seed: int = 7) -> dict[str, np.ndarray]:
@@ -64,9 +89,9 @@ def train(docs: DataFrame, dim: int = 512, seed: int = 7) -> dict[str, np.ndarra
         for whole in batches:
             total: dict[str, np.ndarray] = {}
             for b in slices(whole, "text"):
-                for lang, v in zip(col(b, "lang").to_pylist(), _profiles(b, dim, seed), strict=True):
-                    if v is not None:
-                        total[lang] = total.get(lang, np.zeros(dim)) + v / max(np.linalg.norm(v), 1e-9)
+                langs, vectors = np.array(col(b, "lang").to_pylist(), object), _profiles(b, dim, seed)
+                for lang in set(langs.tolist()):
+                    total[lang] = total.get(lang, np.zeros(dim)) + vectors[langs == lang].sum(axis=0, dtype=np.float64)
             for lang, v in total.items():
                 yield pa.record_batch({"lang": pa.array([lang] * dim), "pos": np.arange(dim, dtype=np.int32), "value": v})
 
@@ -91,14 +116,12 @@ def identify(docs: DataFrame, prototypes: dict[str, np.ndarray], dim: int = 512,
     def run(batches):
         for whole in batches:
             for b in slices(whole, "text"):
-                langs, scores = [], []
-                for v in _profiles(b, dim, seed):
-                    if v is None or not names:
-                        langs.append("und"), scores.append(0.0)
-                        continue
-                    cosines = matrix @ v / max(np.linalg.norm(v), 1e-9)
-                    best = int(cosines.argmax())
-                    langs.append(names[best]), scores.append(float(min(1.0, max(0.0, cosines[best]))))
+                langs, scores = ["und"] * b.num_rows, [0.0] * b.num_rows
+                cosines = _profiles(b, dim, seed) @ matrix.T
+                for i, text in enumerate(col(b, "text").to_pylist() if names else []):
+                    if _has_letters(text):
+                        best = int(cosines[i].argmax())
+                        langs[i], scores[i] = names[best], float(min(1.0, max(0.0, cosines[i, best])))
                 yield pa.record_batch({"doc_id": col(b, "doc_id"), "lang_pred": pa.array(langs, pa.string()), "score": pa.array(scores, pa.float64())})
 
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
