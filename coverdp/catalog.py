@@ -65,7 +65,7 @@ E_CONVERSATION = f"""t AS (SELECT conv_id * 64 + turn AS id, conv_id, turn, role
 e AS (SELECT a.id AS src, b.id AS dst FROM t a JOIN t b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1 UNION ALL SELECT DISTINCT id, hub FROM t)"""
 E_ORDER_PART = f"e AS (SELECT DISTINCT {KIND} + l_orderkey AS src, {2 * KIND} + l_partkey AS dst FROM lineitem)"
 E_RING = "z AS (SELECT count(*) AS n FROM nation), e AS (SELECT least(n_nationkey, (n_nationkey + 1) % n) AS src, greatest(n_nationkey, (n_nationkey + 1) % n) AS dst FROM nation, z)"
-E_TORUS = """c AS (SELECT CAST(floor(sqrt(count(*))) AS BIGINT) AS w, CAST(count(*) // floor(sqrt(count(*))) AS BIGINT) AS h FROM orders), o AS (SELECT o_orderkey AS k, w, h FROM orders, c WHERE o_orderkey < w * h),
+E_TORUS = """c AS (SELECT CAST(floor(sqrt(count(*))) AS BIGINT) AS w, count(*) // CAST(floor(sqrt(count(*))) AS BIGINT) AS h FROM orders), o AS (SELECT o_orderkey AS k, w, h FROM orders, c WHERE o_orderkey < w * h),
 x AS (SELECT k AS a, CASE WHEN k % w = w - 1 THEN k - (w - 1) ELSE k + 1 END AS b FROM o UNION ALL SELECT k, (k + w) % (w * h) FROM o), e AS (SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS dst FROM x WHERE a <> b)"""
 GRAPHS = {
     "lattice": (G.order_lattice_graph, E_LATTICE),
