@@ -4,8 +4,8 @@ from __future__ import annotations
 
 import base64
 import hashlib
-import heapq
 from dataclasses import dataclass
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -86,27 +86,39 @@ class Codec:
     def __getstate__(self):
         return self.__dict__ | {"known": {}, "split": None}
 
-    def merge(self, word: bytes) -> tuple[int, ...]:
-        """Second tier: the best-ranked adjacent pair first, from a heap with stale entries, over a doubly linked list."""
-        ranks, n = self.ranks, len(word)
-        part = [word[i : i + 1] for i in range(n)]
-        left, right = list(range(-1, n - 1)), list(range(1, n + 1))
-        heap = [(r, i, part[i] + part[i + 1]) for i in range(n - 1) if (r := ranks.get(part[i] + part[i + 1])) is not None]
-        heapq.heapify(heap)
+    def merge(self, word: bytes) -> list[int]:
+        """Second tier: the best-ranked adjacent pair first, the leftmost of equals, from a heap with stale entries over linked bytes.
+
+        A part is known by its first byte: `stop` links it to the next one, `back` to the one before, `pair` is the rank
+        that it would have with the next (-1: none). Heap entries are rank * n + place.
+        """
+        get, n = self.ranks.get, len(word)
+        stop, back = list(range(1, n + 1)), list(range(-1, n - 1))
+        pair = [get(word[i : i + 2], -1) for i in range(n - 1)]
+        pair.append(-1)
+        heap = [r * n + i for i, r in enumerate(pair) if r >= 0]
+        heapify(heap)
         while heap:
-            _, i, pair = heapq.heappop(heap)
-            j = right[i]
-            if not part[i] or j >= n or part[i] + part[j] != pair:
+            rank, i = divmod(heappop(heap), n)
+            if pair[i] != rank:
                 continue
-            part[i], part[j] = pair, b""
-            right[i] = k = right[j]
+            j = stop[i]
+            k = stop[i] = stop[j]
+            pair[i] = pair[j] = -1
             if k < n:
-                left[k] = i
-                if (r := ranks.get(pair + part[k])) is not None:
-                    heapq.heappush(heap, (r, i, pair + part[k]))
-            if (p := left[i]) >= 0 and (r := ranks.get(part[p] + pair)) is not None:
-                heapq.heappush(heap, (r, p, part[p] + pair))
-        return tuple(ranks[x] for x in part if x)
+                back[k] = i
+                if (r := get(word[i : stop[k]])) is not None:
+                    pair[i] = r
+                    heappush(heap, r * n + i)
+            if (p := back[i]) >= 0:
+                pair[p] = r = get(word[p:k], -1)
+                if r >= 0:
+                    heappush(heap, r * n + p)
+        out, i = [], 0
+        while i < n:
+            out.append(self.ranks[word[i : stop[i]]])
+            i = stop[i]
+        return out
 
     def learn(self, tokens: set[str]) -> None:
         """Both tiers for pre-tokens that this worker hasn't met."""
