@@ -1,10 +1,11 @@
 """Set similarity join by chosen paths over minwise tokens; shared by the document and the paragraph operator.
 
-Records are sets of 64-bit shingle hashes. In each of `trees` independent trees a record follows one branch a level:
-the minwise token of the next coordinate. Nodes of at most `leaf` records are compared exhaustively; larger ones branch
-further, down to all coordinates. Links are confirmed on full sets. A leaf first offers each record's smallest
-plausible partner; what then still lies in different components is compared pair by pair, so no link that a leaf
-shows is lost, and copies are never expanded into all pairs.
+Records are sets of 64-bit shingle hashes. In each of `trees` independent trees a record goes to one node, given by the
+minwise tokens of `depth` coordinates. Every node is compared wholly: small ones in one group, larger ones in blocks, each
+against all others of the node. Links are confirmed on full sets. A group first offers each record's smallest plausible
+partner, a large one its most central too; what then still lies in different components is compared pair by pair (in
+large groups within the task, which gives only links that join components), so no link that a node shows is lost, and
+copies are never expanded into all pairs.
 """
 
 from __future__ import annotations
@@ -24,11 +25,12 @@ from coverdp.runtime import is_empty, materialise
 
 @dataclass(frozen=True)
 class Paths:
-    """trees x depth coordinates; a pair of similarity s meets in a first-level node of some tree with probability 1 - (1 - s^depth)^trees."""
+    """trees x depth coordinates; a pair of similarity s meets in a node of some tree with probability 1 - (1 - s^depth)^trees. leaf: records of a small group; block: of half a large one."""
 
     trees: int = 25
     depth: int = 5
     leaf: int = 48
+    block: int = 512
     percent: int = 80
 
     @property
@@ -91,61 +93,44 @@ def _first_level(p: Paths) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.R
     return run
 
 
-def _deeper(p: Paths, depth: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    def run(batches):
-        for b in batches:
-            if b.num_rows:
-                tree = np.asarray(col(b, "tree")).astype(np.int64)
-                yield pa.record_batch({"rid": col(b, "rid"), "tree": col(b, "tree"), "node": _node_keys(_signatures(col(b, "sig"), p.coordinates), tree, tree * p.depth, depth)})
+def _groups(records: DataFrame, p: Paths) -> DataFrame:
+    """(node, rid) of all nodes with two records or more; nodes beyond `leaf` as all pairs of their blocks."""
+    keyed = records.select("rid", "sig").mapInArrow(_first_level(p), "rid long, tree int, node long")
+    sizes = keyed.groupBy("node").agg(F.count("*").alias("size")).where("size > 1")
+    sized = materialise(keyed.select("rid", "node").join(sizes, "node"))
+    blocks = F.ceil(F.col("size") / p.block).cast("int")
+    big = sized.where(F.col("size") > p.leaf).select("node", "rid", blocks.alias("k"), F.pmod(F.xxhash64("rid"), blocks).cast("int").alias("own"))
+    paired = big.select("node", "rid", "k", "own", F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("other")).where("other <> own or k = 1")
+    paired = paired.select(F.xxhash64("node", F.least("own", "other"), F.greatest("own", "other")).alias("node"), "rid")
+    return sized.where(F.col("size") <= p.leaf).select("node", "rid").union(paired)
 
-    return run
 
-
-def _leaves(records: DataFrame, p: Paths) -> DataFrame:
-    """(node, rid) of all nodes with two records or more and `leaf` at most."""
-    kind = "rid long, tree int, node long"
-    keyed, depth, found = records.select("rid", "sig").mapInArrow(_first_level(p), kind), p.depth, []
-    while True:
-        sizes = keyed.groupBy("node").agg(F.count("*").alias("size"), F.min("rid").alias("centre")).where("size > 1")
-        sized = materialise(keyed.join(sizes, "node"))
-        found.append(sized.where(F.col("size") <= p.leaf).select("node", "rid"))
-        big = sized.where(F.col("size") > p.leaf)
-        if is_empty(big):
-            break
-        if depth >= p.coordinates:
-            # all coordinates agree: blocks of bounded size, each with the node's least record
-            part = big.withColumn("node", F.xxhash64("node", F.pmod(F.xxhash64("rid"), F.ceil(F.col("size") * 2 / p.leaf))))
-            found.append(part.select("node", "rid").union(part.select("node", F.col("centre").alias("rid")).distinct()).distinct())
-            break
-        depth = min(p.coordinates, depth * 2)
-        keyed = big.select("rid", "tree").join(records.select("rid", "sig"), "rid").mapInArrow(_deeper(p, depth), kind)
-    out = found[0]
-    for more in found[1:]:
-        out = out.union(more)
-    return out
+GROUP = "members array<long>, adj binary, central array<long>"
 
 
 def _plausible(p: Paths) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """For each leaf its members in rising order and a bit matrix of plausible pairs."""
+    """For each group its members in rising order, a bit matrix of plausible pairs and, if it's large, each member's plausible partner that is most like the whole group."""
 
     def run(batches):
         for b in batches:
-            members, adj = [], []
-            for group in col(b, "group").to_pylist():
-                group.sort(key=lambda g: g["rid"])
+            for group in col(b, "group"):
+                group = sorted(group.as_py(), key=lambda g: g["rid"])
                 sig = np.frombuffer(b"".join(g["sig"] for g in group), np.uint16).reshape(len(group), -1)
                 n = np.array([g["n"] for g in group], float)
                 near = np.empty((len(group), len(group)), bool)
+                like = np.empty(len(group))
                 for i in range(len(group)):
-                    near[i] = (sig == sig[i]).mean(axis=1) >= p.plausible
+                    same = (sig == sig[i]).mean(axis=1)
+                    near[i], like[i] = same >= p.plausible, same.sum()
                 near &= np.minimum(n[:, None], n) * 100 >= np.maximum(n[:, None], n) * p.percent
                 np.fill_diagonal(near, False)
-                live = near.any(axis=1)
-                if live.any():
-                    members.append([g["rid"] for g, x in zip(group, live, strict=True) if x])
-                    adj.append(np.packbits(near[np.ix_(live, live)]).tobytes())
-            if members:
-                yield pa.record_batch({"members": pa.array(members, pa.list_(pa.int64())), "adj": pa.array(adj, pa.binary())})
+                live = np.flatnonzero(near.any(axis=1))
+                if not len(live):
+                    continue
+                rid = np.array([group[i]["rid"] for i in live], np.int64)
+                near, like = near[np.ix_(live, live)], like[live]
+                central = [int(rid[np.where(row, like, -1).argmax()]) for row in near] if len(group) > p.leaf else []
+                yield pa.record_batch({"members": pa.array([rid.tolist()], pa.list_(pa.int64())), "adj": pa.array([np.packbits(near).tobytes()], pa.binary()), "central": pa.array([central], pa.list_(pa.int64()))})
 
     return run
 
@@ -154,18 +139,20 @@ def _matrix(raw: bytes, n: int) -> np.ndarray:
     return np.unpackbits(np.frombuffer(raw, np.uint8), count=n * n).reshape(n, n).astype(bool)
 
 
-def _smallest_partner(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _partners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(record, partner, whether the smallest): two a member at most."""
     for b in batches:
-        lo, hi = [], []
-        for members, raw in zip(col(b, "members").to_pylist(), col(b, "adj").to_pylist(), strict=True):
+        lo, hi, least = [], [], []
+        for members, raw, central in zip(*(col(b, x).to_pylist() for x in ("members", "adj", "central")), strict=True):
             m = _matrix(raw, len(members))
             for i in range(1, len(members)):
                 j = int(m[i, :i].argmax())
                 if m[i, j] and j < i:
-                    lo.append(members[j])
-                    hi.append(members[i])
+                    lo.append(members[j]), hi.append(members[i]), least.append(True)
+            for x, y in zip(members, central):
+                lo.append(min(x, y)), hi.append(max(x, y)), least.append(False)
         if lo:
-            yield pa.record_batch({"a": pa.array(lo, pa.int64()), "b": pa.array(hi, pa.int64())})
+            yield pa.record_batch({"a": pa.array(lo, pa.int64()), "b": pa.array(hi, pa.int64()), "least": pa.array(least)})
 
 
 def _still_apart(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -181,6 +168,53 @@ def _still_apart(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.record_batch({"a": pa.array(lo, pa.int64()), "b": pa.array(hi, pa.int64())})
 
 
+def _crossing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of large groups the members with a plausible partner in another component."""
+    for b in batches:
+        gid, rid, comp = [], [], []
+        for g, members, raw, own in zip(*(col(b, x).to_pylist() for x in ("gid", "members", "adj", "own")), strict=True):
+            where = {x["rid"]: x["component"] for x in own}
+            c = np.array([where[x] for x in members])
+            live = np.flatnonzero((_matrix(raw, len(members)) & (c[:, None] != c)).any(axis=1))
+            gid += [g] * len(live)
+            rid += [members[x] for x in live]
+            comp += c[live].tolist()
+        if rid:
+            yield pa.record_batch({"gid": pa.array(gid, pa.int64()), "rid": pa.array(rid, pa.int64()), "component": pa.array(comp, pa.int64())})
+
+
+def _join_within(percent: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Every member's full set against all of its group; the links that join components, fewer than members."""
+
+    def run(batches):
+        for b in batches:
+            for group in col(b, "group"):
+                rid, comp, sets = [], [], []
+                for g in group:
+                    rid.append(g["rid"].as_py()), comp.append(g["component"].as_py()), sets.append(np.frombuffer(g["tokens"].as_buffer(), U))
+                _, code = np.unique(np.concatenate(sets), return_inverse=True)
+                n = np.array([len(x) for x in sets])
+                begin = np.cumsum(n) - n
+                comp, lo, hi = np.unique(comp, return_inverse=True)[1], [], []
+                mine = np.zeros(len(code), bool)
+                for i in range(len(sets)):
+                    apart = comp != comp[i]
+                    if not apart.any():
+                        continue
+                    own = code[begin[i] : begin[i] + n[i]]
+                    mine[own] = True
+                    inter = np.add.reduceat(mine[code], begin, dtype=np.int64)
+                    mine[own] = False
+                    for j in np.flatnonzero(apart & (100 * inter >= percent * (n + n[i] - inter))).tolist():
+                        if comp[j] != comp[i]:
+                            lo.append(min(rid[i], rid[j])), hi.append(max(rid[i], rid[j]))
+                            comp[comp == comp[j]] = comp[i]
+                if lo:
+                    yield pa.record_batch({"a": pa.array(lo, pa.int64()), "b": pa.array(hi, pa.int64())})
+
+    return run
+
+
 def _confirm(percent: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches):
         for b in batches:
@@ -207,20 +241,23 @@ def link(records: DataFrame, full_sets: Callable[[DataFrame], DataFrame], p: Pat
 
     Returns (rid, component) for the records with a link; others stand alone.
     """
-    leaves = _leaves(records, p)
-    attached = leaves.join(records.select("rid", "n", "sig"), "rid")
+    attached = _groups(records, p).join(records.select("rid", "n", "sig"), "rid")
     groups = attached.groupBy("node").agg(F.collect_list(F.struct("rid", "n", "sig")).alias("group")).where(F.size("group") > 1)
-    groups = materialise(groups.select("group").mapInArrow(_plausible(p), "members array<long>, adj binary").distinct().withColumn("gid", F.xxhash64("members", "adj")))
-    first = materialise(groups.mapInArrow(_smallest_partner, "a long, b long").groupBy("b").agg(F.min("a").alias("a")).select("a", "b"))
+    groups = materialise(groups.select("group").mapInArrow(_plausible(p), GROUP).distinct().withColumn("gid", F.xxhash64("members", "adj")))
+    offered = materialise(groups.mapInArrow(_partners, "a long, b long, least boolean").groupBy("b", "least", F.when(~F.col("least"), F.col("a")).alias("c")).agg(F.min("a").alias("a")))
+    first = offered.select("a", "b").distinct()
     needed = groups.select(F.explode("members").alias("rid")).distinct()
     sets = materialise(full_sets(needed))
     links = materialise(_confirmed(first, sets, p.percent))
     joined = components(links)
     own = groups.select("gid", F.explode("members").alias("rid")).join(joined.withColumnRenamed("id", "rid"), "rid", "left")
     own = own.groupBy("gid").agg(F.collect_list(F.struct("rid", F.coalesce("component", "rid").alias("component"))).alias("own"))
-    apart = groups.join(own, "gid").where(F.size(F.array_distinct("own.component")) > 1).select("members", "adj", "own")
-    rest = materialise(apart.mapInArrow(_still_apart, "a long, b long").distinct().join(first, ["a", "b"], "left_anti"))
-    if is_empty(rest):
+    apart = materialise(groups.join(own, "gid").where(F.size(F.array_distinct("own.component")) > 1).select("gid", "members", "adj", "own", (F.size("central") > 0).alias("large")))
+    rest = materialise(apart.where("not large").select("members", "adj", "own").mapInArrow(_still_apart, "a long, b long").distinct().join(first, ["a", "b"], "left_anti"))
+    crossing = apart.where("large").select("gid", "members", "adj", "own").mapInArrow(_crossing, "gid long, rid long, component long")
+    within = crossing.join(sets, "rid").groupBy("gid").agg(F.collect_list(F.struct("rid", "component", "tokens")).alias("group"))
+    within = materialise(within.select("group").mapInArrow(_join_within(p.percent), "a long, b long"))
+    if is_empty(rest) and is_empty(within):
         return joined.select(F.col("id").alias("rid"), "component")
-    more = _confirmed(rest, sets, p.percent)
+    more = _confirmed(rest, sets, p.percent).union(within)
     return components(materialise(links.union(more))).select(F.col("id").alias("rid"), "component")
