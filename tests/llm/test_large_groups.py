@@ -7,7 +7,7 @@ from pathlib import Path
 sys.path.insert(0, str(Path(__file__).parent))
 import brute  # noqa: E402
 
-from coverdp.llm import paragraphs  # noqa: E402
+from coverdp.llm import neardup, paragraphs  # noqa: E402
 
 
 def copies(n, edits, k, seed, words=100):
@@ -52,3 +52,10 @@ def test_paragraphs_of_unlike_groups_in_one_bucket(spark):
     want = brute.linked(brute.shingle_sets(list(enumerate(texts)), 5))
     got = {r["doc_id"]: r["clusters"] for r in paragraphs.removals(docs).collect()}
     assert {i: [c << 21] if c != i else [] for i, c in want.items()} == got
+
+
+def test_documents_of_a_large_group(spark):
+    for n, edits, k in ((300, 4, 2), (2000, 4, 2), (2000, 2, 5)):
+        docs = spark.createDataFrame(list(enumerate(copies(n, edits, k, n))), "doc_id long, text string")
+        got = neardup.near_duplicates(docs, k).select("doc_id", "component_id").collect()
+        assert len(got) == n + 1 and sum(r["component_id"] != 0 for r in got) == 0
