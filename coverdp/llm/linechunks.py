@@ -1,4 +1,4 @@
-"""Removal of globally repeated multi-line chunks whose boundaries depend on content alone."""
+"""Removal of globally repeated runs of lines, found by all their windows of two lines."""
 
 from __future__ import annotations
 
@@ -9,52 +9,37 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coverdp.llm.textkit import U, col, mix, slices, span_hashes, text_bytes
+from coverdp.llm.textkit import WHITE, col, slices, span_hashes, text_bytes
 from coverdp.runtime import materialise
 
 
-def _chunks(data: np.ndarray, offs: np.ndarray, every: int, longest: int):
-    """(first byte, end, lines, text) of each chunk; a chunk ends where the hash of its last two lines says so.
+def _windows(data: np.ndarray, offs: np.ndarray):
+    """(first byte, end, end without line break, first line, last line, text) of each two neighbouring lines of a text.
 
-    Boundaries come from a rolling hash of line hashes, so that a passage that moved is cut alike but for its ends.
+    Lines of white space alone don't count as lines; those between two others belong to the window.
     """
     breaks = np.flatnonzero(data == 10) + 1
     edges = np.unique(np.concatenate([offs, breaks[breaks < len(data)]]))
     starts, ends = edges[:-1], edges[1:]
     text = np.searchsorted(offs, starts, "right") - 1
     bare = ends - (data[np.maximum(ends - 1, 0)] == 10) if len(data) else ends
-    h = span_hashes(data, starts, bare)
-    last = np.ones(len(starts), bool)
-    last[:-1] = text[1:] != text[:-1]
-    opening = np.ones(len(starts), bool)
-    opening[1:] = text[1:] != text[:-1]
-    before = np.zeros(len(starts), U)
-    before[1:] = h[:-1]
-    before[opening] = 0
-    cut = last | ((mix(before * U(3) + h) % U(every) == 0) & ~opening)
-    at = np.flatnonzero(cut)
-    begin = np.concatenate([[0], at[:-1] + 1]) if len(at) else at
-    out = []
-    for a, z in zip(begin.tolist(), at.tolist(), strict=True):
-        for p in range(a, z + 1, longest):
-            q = min(p + longest - 1, z)
-            out.append((int(starts[p]), int(ends[q]), int(bare[q]), q - p + 1, int(text[p])))
-    return out
-
-
-def _table(every: int, longest: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for b in slices(whole, "text"):
-                data, offs = text_bytes(col(b, "text"))
-                found = _chunks(data, offs, every, longest)
-                if not found:
-                    continue
-                s, e, bare, lines, text = (np.array(x, np.int64) for x in zip(*found, strict=True))
-                h1, h2 = span_hashes(data, s, bare), span_hashes(data[::-1], len(data) - bare, len(data) - s, 99)
-                yield pa.record_batch({"doc_id": col(b, "doc_id").take(pa.array(text)), "at": s - offs[text], "stop": e - offs[text], "lines": lines, "h1": h1.view(np.int64), "h2": h2.view(np.int64)})
+    ink = np.concatenate([[0], np.cumsum(~WHITE[data])])
+    full = np.flatnonzero(ink[ends] > ink[starts])
+    a, z = full[:-1], full[1:]
+    same = text[a] == text[z]
+    a, z = a[same], z[same]
+    number = np.arange(len(starts)) - np.searchsorted(text, text, "left")
+    return starts[a], ends[z], bare[z], number[a], number[z], text[a]
+
 
-    return run
+def _table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for whole in batches:
+        for b in slices(whole, "text"):
+            data, offs = text_bytes(col(b, "text"))
+            s, e, bare, line, last, text = _windows(data, offs)
+            if len(s):
+                h1, h2 = span_hashes(data, s, bare), span_hashes(data[::-1], len(data) - bare, len(data) - s, 99)
+                yield pa.record_batch({"doc_id": col(b, "doc_id").take(pa.array(text)), "at": s - offs[text], "stop": e - offs[text], "line": line, "last": last, "h1": h1.view(np.int64), "h2": h2.view(np.int64)})
 
 
 def _bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -76,39 +61,40 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 own, at, kept = (text or "").encode(), 0, []
                 for x in sorted(spans, key=lambda x: x["at"]):
                     kept.append(own[at : x["at"]])
-                    at = x["stop"]
+                    at = max(at, x["stop"])
                 text = b"".join([*kept, own[at:]]).decode()
             out.append(text)
         i = b.schema.get_field_index("text")
         yield b.set_column(i, b.schema.field(i).with_type(pa.string()), pa.array(out, pa.string()))
 
 
-def repeated_chunks(docs: DataFrame, every: int = 3, longest: int = 64) -> DataFrame:
-    """(doc_id, removed_spans, n_chunks, n_removed_lines): the later copies of chunks of two lines or more.
+def repeated_chunks(docs: DataFrame) -> DataFrame:
+    """(doc_id, removed_spans, n_chunks, n_removed_lines): the later copies of repeated runs of two lines or more.
 
-    The first copy by (doc_id, place) stays. Copies are grouped by a 128-bit hash, then the least and the greatest
-    bytes of each group are compared; only groups where they agree lose rows. Rows without text have no chunk.
+    A run repeats where all its windows of two lines do, so every window is looked up (n_chunks of them) and the lines
+    of those with an earlier copy by (doc_id, place) go; a copy that overlaps the first one stays. So the first place of
+    each line stays. Copies are grouped by a 128-bit hash, then the least and the greatest bytes of each group are
+    compared; only groups where they agree lose rows. Texts without two lines have no window.
     """
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("text is not null and doc_id is not null")
-    chunks = materialise(src.mapInArrow(_table(every, longest), "doc_id long, at long, stop long, lines long, h1 long, h2 long"))
-    multi = chunks.where("lines > 1")
-    groups = multi.groupBy("h1", "h2").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "at")).alias("first")).where("copies > 1")
-    members = materialise(multi.join(groups, ["h1", "h2"]))
+    chunks = materialise(src.mapInArrow(_table, "doc_id long, at long, stop long, line long, last long, h1 long, h2 long"))
+    groups = chunks.groupBy("h1", "h2").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "at", "stop")).alias("first")).where("copies > 1")
+    members = materialise(chunks.join(groups, ["h1", "h2"]))
     wanted = members.groupBy("doc_id").agg(F.collect_list(F.struct("at", "stop", "h1", "h2")).alias("spans"))
     raw = src.join(wanted, "doc_id").select("text", "spans").mapInArrow(_bytes, "h1 long, h2 long, raw binary")
     equal = raw.groupBy("h1", "h2").agg((F.min("raw") == F.max("raw")).alias("equal")).where("equal").select("h1", "h2")
-    gone = members.where("doc_id <> first.doc_id or at <> first.at").join(equal, ["h1", "h2"])
-    gone = gone.groupBy("doc_id").agg(F.collect_set(F.struct("at", "stop")).alias("removed_spans"), F.sum("lines").alias("n_removed_lines"))
+    gone = members.where("doc_id <> first.doc_id or at >= first.stop").join(equal, ["h1", "h2"])
+    gone = gone.groupBy("doc_id").agg(F.collect_set(F.struct("at", "stop")).alias("removed_spans"), F.size(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last"))))).cast("long").alias("n_removed_lines"))
     return chunks.groupBy("doc_id").agg(F.count("*").alias("n_chunks")).join(gone, "doc_id", "left")
 
 
-def drop_repeated_chunks(docs: DataFrame, every: int = 3, longest: int = 64) -> DataFrame:
-    """docs with the later copies of repeated chunks cut from text, and n_chunks, n_removed_lines; no row goes.
+def drop_repeated_chunks(docs: DataFrame) -> DataFrame:
+    """docs with the later copies of repeated runs of lines cut from text, and n_chunks, n_removed_lines; no row goes.
 
     Null texts stay null, a text that is nothing but later copies becomes empty. Input columns named like the two new
     ones are replaced. Rows that repeat a doc_id are cut alike.
     """
-    found = materialise(repeated_chunks(docs, every, longest))
+    found = materialise(repeated_chunks(docs))
     base = docs.drop("n_chunks", "n_removed_lines", "removed_spans")
     wide = base.join(found, "doc_id", "left").select(*base.columns, F.coalesce("n_chunks", F.lit(0)).cast("long").alias("n_chunks"), F.coalesce("n_removed_lines", F.lit(0)).cast("long").alias("n_removed_lines"), "removed_spans")
     return wide.mapInArrow(_cut, wide.schema).drop("removed_spans")
