@@ -81,6 +81,25 @@ class Items:
                 yield np.repeat(text, many), np.repeat(at - begin[text], many), seed
 
 
+    def shared(self, text: np.ndarray, seed: np.ndarray) -> np.ndarray:
+        """Of hits of one kind of seed, those of a text that holds enough different seeds of an item for a leak, however common they are.
+
+        An edit spoils as many seeds as a seed has words. Half of what the edits of the rule leave is enough here, as
+        added words spoil seeds too.
+        """
+        rule, pair = self.rule, text * np.int64(len(self.ids)) + self.item[seed]
+        longest = max((len(w) for w in self.words), default=0) + 1
+        each = np.unique(pair * longest + self.place[seed]) // longest
+        pairs, n = np.unique(each, return_counts=True)
+        size = np.array([len(w) for w in self.words], float)[pairs % len(self.ids)]
+        if self.seed_long[seed[0]]:
+            columns = rule.run / rule.tight
+            least = np.full(len(pairs), (columns - rule.seed + 1 - rule.seed * (columns - rule.run)) / 2)
+        else:
+            least = (size - rule.short + 1 - rule.short * (1 - rule.similarity) * size) / 2
+        return np.isin(pair, pairs[n >= np.maximum(1, np.floor(least))])
+
+
 def align(a: np.ndarray, b: np.ndarray) -> tuple[int, int, int, int]:
     """Smith-Waterman, 1 for a match and -1 for a change or a gap: (matches, columns, first, end in b) of a best local alignment of word sequences."""
     n, m = len(a), len(b)
@@ -133,7 +152,7 @@ def _search(shared):
                 tokens, first = _tokens(col(b, "text"))
                 spots: dict[tuple[int, int], set[int]] = {}
                 for text, word, seed in items.hits(tokens, first):
-                    ok = items.usable[seed]
+                    ok = items.usable[seed] | items.shared(text, seed)
                     for t, i, d in zip(text[ok].tolist(), items.item[seed[ok]].tolist(), (word[ok] - items.place[seed[ok]]).tolist(), strict=True):
                         spots.setdefault((t, i), set()).add(d)
                 out = []
@@ -176,7 +195,8 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, rule: Rule = Rule()) -> Da
     """doc_id, item_id, similarity, first_word, end_word, matches: documents that hold a test item or an edited copy.
 
     Words are runs of letters and digits, A-Z lower-cased. Every whole text is searched for every item; items come in
-    blocks of bounded size. A seed counts if it's about as rare among all documents as its item's rarest. A pair is a
+    blocks of bounded size. A pair is aligned if it shares a seed about as rare among
+    all documents as its item's rarest, or enough seeds of any frequency for a leak. A pair is a
     leak if `similarity` of the item's words are matched, or `run` words at an identity of `tight`. Items and texts
     without words match nothing; empty tables give no rows; several rows of a doc_id may give a row each.
     """
