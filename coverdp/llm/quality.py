@@ -9,13 +9,15 @@ from pyspark.sql import functions as F
 
 from coverdp.runtime import materialise
 
-P = 4
+P = 5
 #: No group's spread counts as less than this, in the units of FEATURES.
-FLOOR = (0.6, 0.35, 0.12, 0.12)
+FLOOR = (0.6, 0.35, 0.12, 0.12, 0.2)
+#: In place of a language or a source: all of them.
+ANY = "\1"
 
 
 def statistics(docs: DataFrame) -> DataFrame:
-    """doc_id, lang, source, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words of whole texts; null text: none."""
+    """doc_id, lang, source, n_words, word_chars, n_symbols, n_dup_lines, n_lines, n_repeat_words of whole texts; null text: none."""
     white = r"[\x20\x09-\x0D]+"
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     blanks = " \t\n\x0b\x0c\r"
@@ -28,7 +30,7 @@ def statistics(docs: DataFrame) -> DataFrame:
         F.filter(F.split(text, "\n"), lambda x: F.length(F.translate(x, blanks, "")) > 0).alias("lines"),
         F.transform(F.filter(F.split(text, white), lambda x: x != ""), lambda x: F.xxhash64(x)).alias("w"),
     )
-    sized = base.withColumn("n_words", F.size("w").cast("long")).withColumn("n_dup_lines", (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long"))
+    sized = base.withColumn("n_words", F.size("w").cast("long")).withColumn("n_lines", F.size("lines").cast("long")).withColumn("n_dup_lines", (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long"))
     windows = F.when(
         F.col("n_words") >= 3,
         F.array_sort(F.transform(F.sequence(F.lit(0), F.size("w") - 3), lambda i: F.struct(F.xxhash64(F.get("w", i), F.get("w", i + 1), F.get("w", i + 2)).alias("h"), i.alias("at")))),
@@ -42,17 +44,18 @@ def statistics(docs: DataFrame) -> DataFrame:
         lambda acc, at: F.struct((acc["n"] + F.least(F.lit(3), at - acc["last"])).cast("long").alias("n"), at.alias("last")),
         lambda acc: acc["n"],
     )
-    return again.select("doc_id", "lang", "source", "n_words", "word_chars", "n_symbols", "n_dup_lines", F.coalesce(covered, F.lit(0).cast("long")).alias("n_repeat_words"))
+    return again.select("doc_id", "lang", "source", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_lines", F.coalesce(covered, F.lit(0).cast("long")).alias("n_repeat_words"))
 
 
 def _features(n: Column) -> list[Column]:
     some = F.greatest(n, F.lit(1)).cast("double")
-    return [F.log1p(n.cast("double")), F.col("word_chars") / some, F.sqrt(F.col("n_symbols") / some), F.sqrt(F.col("n_repeat_words") / some)]
+    return [F.log1p(n.cast("double")), F.col("word_chars") / some, F.sqrt(F.col("n_symbols") / some), F.sqrt(F.col("n_repeat_words") / some), F.sqrt(F.col("n_dup_lines") / F.greatest(F.col("n_lines"), F.lit(1)).cast("double"))]
 
 
 def _chi2(x: float, p: int) -> float:
-    """Of an even number of degrees of freedom."""
-    return 1 - math.exp(-x / 2) * sum((x / 2) ** i / math.factorial(i) for i in range(p // 2))
+    """The chi-square distribution function."""
+    y, half = x / 2, (p % 2) / 2
+    return (math.erf(math.sqrt(y)) if half else 1.0) - math.exp(-y) * sum(y ** (i + half) / math.gamma(i + half + 1) for i in range(p // 2))
 
 
 def _quantile(q: float, p: int) -> float:
@@ -96,16 +99,26 @@ def quality_rules(docs: DataFrame, keep: float = 0.75, cutoff: float = 0.99995,
     The others get minimum-covariance-determinant estimates for each (lang, source), null being a group of its own:
     from two starts (medians with mean deviations; the same with the largest coordinate as distance) `steps`
     concentration steps on the share `keep` of least distance; the start of the lesser determinant stays; one
-    reweighted step follows. Rows beyond the `cutoff` quantile of chi-square are not kept. Groups under `least` rows
-    reject nothing and have a null distance.
+    reweighted step follows. Rows beyond the `cutoff` quantile of chi-square are not kept. Groups under `least` such
+    rows are judged by the estimate of their whole language, languages under `least` by that of all rows; only where
+    all rows together are fewer, there is nothing to judge by: a null distance, and nothing is rejected.
     """
     key = ["g_lang", "g_source"]
     stats = statistics(docs).withColumn("base_failed", (F.col("n_words") < least_words) | (100 * F.col("n_repeat_words") > most_repeat * F.col("n_words")))
     rows = stats.withColumns({f"x{i}": x for i, x in enumerate(_features(F.col("n_words")))})
-    rows = materialise(rows.withColumns({"g_lang": F.coalesce("lang", F.lit("\0")), "g_source": F.coalesce("source", F.lit("\0"))}))
+    rows = materialise(rows.withColumns({"o_lang": F.coalesce("lang", F.lit("\0")), "o_source": F.coalesce("source", F.lit("\0"))}))
     x = [F.col(f"x{i}") for i in range(P)]
     xs = [f"x{i}" for i in range(P)]
-    good = rows.where("not base_failed").select(*key, *xs)
+    sizes = rows.groupBy("o_lang", "o_source").agg(F.sum((~F.col("base_failed")).cast("long")).alias("n"))
+    of_lang = sizes.groupBy("o_lang").agg(F.sum("n").alias("n_lang"))
+    enough, whole = F.col("n") >= least, F.col("n_lang") >= least
+    pools = materialise(sizes.join(of_lang, "o_lang").select("o_lang", "o_source", F.when(whole | enough, F.col("o_lang")).otherwise(ANY).alias("g_lang"), F.when(enough, F.col("o_source")).otherwise(ANY).alias("g_source")))
+    rows = rows.join(pools, ["o_lang", "o_source"])
+    used = pools.select(*key).distinct()
+    member = F.struct(F.col("o_lang").alias("g_lang"), F.col("o_source").alias("g_source"))
+    language, everyone = (F.struct(v.alias("g_lang"), F.lit(ANY).alias("g_source")) for v in (F.col("o_lang"), F.lit(ANY)))
+    good = rows.where("not base_failed").select(F.explode(F.array(member, language, everyone)).alias("g"), *xs).select("g.*", *xs)
+    good = materialise(good.join(used, key, "left_semi").select(*key, *xs))
     centre = good.groupBy(*key).agg(F.count("*").alias("size"), *(F.percentile_approx(v, 0.5, 1000).alias(f"m{i}") for i, v in enumerate(x))).where(F.col("size") >= least)
     spread = good.join(centre, key).groupBy(*key).agg(F.first("size").alias("size"), *(F.first(f"m{i}").alias(f"m{i}") for i in range(P)), *(F.greatest(F.percentile_approx(F.abs(x[i] - F.col(f"m{i}")), 0.5, 1000) * 1.4826, F.lit(FLOOR[i] / 2)).alias(f"s{i}") for i in range(P)))
     spread = materialise(spread)
