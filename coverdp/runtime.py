@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 import zipfile
@@ -51,5 +52,24 @@ def materialise(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def remove(spark: SparkSession, *paths: str) -> None:
+    """Delete folders that nothing reads any more."""
+    for path in paths:
+        p = spark._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
+def tidy(any_table: DataFrame) -> None:
+    """Let Spark drop the shuffle files that nothing refers to any more: its cleaner follows the driver's collector, which may not run for half an hour."""
+    gc.collect()
+    any_table.sparkSession._jvm.System.gc()
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete tables that materialise() wrote, once nothing reads them any more."""
+    remove(tables[0].sparkSession, *{f.rpartition("/")[0] for t in tables for f in t.inputFiles()})
+    tidy(tables[0])
+
+
 def is_empty(df: DataFrame) -> bool:
     return not df.take(1)
