@@ -2,18 +2,18 @@
 
 from __future__ import annotations
 
+import hashlib
 import re
 import uuid
 import zlib
 from collections.abc import Iterator
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coverdp.llm.textkit import col
-from coverdp.runtime import materialise, shared_folder
+from coverdp.runtime import materialise, remove, shared_folder
 
 END = "\r\n\r\n"
 #: Payloads of fewer bytes are never revisits.
@@ -71,7 +71,7 @@ def records(page_id: int, url: str | None, html: str | None, digest: str, kind:
     return out
 
 
-def write(pages: DataFrame, folder: str, segment: int = 8192, chunk: int = 2048, per_file: int = 20_000) -> None:
+def write(pages: DataFrame, folder: str, segment: int = 8192, chunk: int = 2048, per_file: int = 8_000) -> None:
     """Archives of pages(page_id, url, html) in `folder`, gzip-compressed, `per_file` records a file at most. Null html: an empty payload."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -80,11 +80,13 @@ def write(pages: DataFrame, folder: str, segment: int = 8192, chunk: int = 2048,
                 b = whole.slice(at, 256)
                 out = []
                 for row in b.to_pylist():
-                    out += records(row["page_id"], row["url"], row["html"], row["digest"], row["record_type"], row["refers_to"], segment, chunk)
+                    digest = hashlib.sha256((row["html"] or "").encode()).hexdigest()
+                    out += records(row["page_id"], row["url"], row["html"], digest, "response" if row["refers_to"] is None else "revisit", row["refers_to"], segment, chunk)
                 yield pa.record_batch({"value": pa.array(out, pa.string())})
 
     known = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")).where("page_id is not null")
-    whole = known.join(roles(known), "page_id")
+    again = materialise(roles(known).where("record_type = 'revisit'").select("page_id", "refers_to"))  # of known size: pages stay where they are while it's small
+    whole = known.join(again, "page_id", "left").select("page_id", "url", "html", "refers_to")
     whole.mapInArrow(run, "value string").write.option("lineSep", END).option("maxRecordsPerFile", per_file).option("compression", "gzip").text(folder)
 
 
@@ -137,24 +139,27 @@ def _page(identifier: str) -> int:
     return int(identifier.strip("<>").rpartition(":")[2])
 
 
-def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    names = ("origin", "number", "total", "record_type", "refers_to", "digest", "block")
-    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.string(), pa.binary())
+def _unpacked(raw: bytes) -> bytes:
+    """An archive's bytes; gzip members are taken one after another."""
+    if raw[:2] != b"\x1f\x8b":
+        return raw
+    parts, rest = [], raw
+    while rest:
+        d = zlib.decompressobj(31)
+        parts.append(d.decompress(rest) + d.flush())
+        rest = d.unused_data
+    return b"".join(parts)
+
+
+def _found(batches: Iterator[pa.RecordBatch], names: list[str], kinds: list[pa.DataType], row) -> Iterator[pa.RecordBatch]:
+    """A row for each record for which `row` gives one, in batches of bounded bytes."""
     for b in batches:
         for raw in col(b, "content"):
-            data = raw.as_buffer().to_pybytes()
-            if data[:2] == b"\x1f\x8b":
-                parts, rest = [], data
-                while rest:
-                    d = zlib.decompressobj(31)
-                    parts.append(d.decompress(rest) + d.flush())
-                    rest = d.unused_data
-                data = b"".join(parts)
             rows, size = [], 0
-            for f, block in parse(data):
-                kind = f["warc-type"]
-                rows.append((_page(f.get("warc-segment-origin-id", f["warc-record-id"])), int(f.get("warc-segment-number", 0)), int(f["warc-segment-total-length"]) if "warc-segment-total-length" in f else None, kind, _page(f["warc-refers-to"]) if "warc-refers-to" in f else None, f.get("warc-payload-digest", "").partition(":")[2], block))
-                size += len(block)
+            for fields, block in parse(_unpacked(raw.as_buffer().to_pybytes())):
+                if (one := row(fields, block)) is not None:
+                    rows.append(one)
+                    size += len(block)
                 if size > 1 << 23:
                     yield pa.record_batch([pa.array(x, k) for x, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
                     rows, size = [], 0
@@ -162,48 +167,77 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield pa.record_batch([pa.array(x, k) for x, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
 
-def _payloads(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Whole blocks to payloads, segments put in order first."""
+def _head(f: dict[str, str]) -> tuple:
+    return f.get("warc-payload-digest", "").partition(":")[2], f["warc-type"], _page(f["warc-refers-to"]) if "warc-refers-to" in f else None
+
+
+def _single(f: dict[str, str], block: bytes):
+    """Records in one piece, decoded; a revisit has no payload."""
+    if "warc-segment-number" not in f:
+        return (_page(f["warc-record-id"]), None if f["warc-type"] == "revisit" else payload(block), *_head(f))
+
+
+def _segment(f: dict[str, str], block: bytes):
+    if "warc-segment-number" in f:
+        total = int(f["warc-segment-total-length"]) if "warc-segment-total-length" in f else None
+        return _page(f.get("warc-segment-origin-id", f["warc-record-id"])), int(f["warc-segment-number"]), total, block, *_head(f)
+
+
+WHOLE = (["page_id", "payload", "digest", "record_type", "refers_to"], [pa.int64(), pa.binary(), pa.string(), pa.string(), pa.int64()])
+PIECE = (["origin", "number", "total", "block", "digest", "record_type", "refers_to"], [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.string(), pa.int64()])
+
+
+def _singles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    return _found(batches, *WHOLE, _single)
+
+
+def _segments(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    return _found(batches, *PIECE, _segment)
+
+
+def _assembled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Segments put in order, checked, joined and decoded; a record's fields are those of its first segment."""
     for b in batches:
         out = []
-        for segments in col(b, "segments").to_pylist():
-            segments.sort(key=lambda s: s["number"])
-            total = segments[-1]["total"]
-            if len(segments) > 1 or segments[0]["number"]:
-                if [s["number"] for s in segments] != list(range(1, len(segments) + 1)):
-                    raise ValueError("segments are missing or repeated")
-                if total != sum(len(s["block"]) for s in segments):
-                    raise ValueError("the segments' total length is wrong")
-            out.append(payload(b"".join(s["block"] for s in segments)))
-        yield pa.record_batch({"page_id": col(b, "origin"), "payload": pa.array(out, pa.binary())})
+        for origin, own in zip(col(b, "origin").to_pylist(), col(b, "segments").to_pylist(), strict=True):
+            own.sort(key=lambda s: s["number"])
+            if [s["number"] for s in own] != list(range(1, len(own) + 1)):
+                raise ValueError("segments are missing or repeated")
+            block = b"".join(s["block"] for s in own)
+            if own[-1]["total"] != len(block):
+                raise ValueError("the segments' total length is wrong")
+            out.append((origin, payload(block), own[0]["digest"], own[0]["record_type"], own[0]["refers_to"]))
+        if out:
+            yield pa.record_batch([pa.array(x, k) for x, k in zip(zip(*out, strict=True), WHOLE[1], strict=True)], WHOLE[0])
 
 
 def read(spark, folder: str) -> DataFrame:
     """page_id, payload, digest, record_type, refers_to of every record in a folder of archives; a revisit has no payload of its own.
 
-    Records in one piece are decoded where they are read; only segments move, grouped by their origin's identifier.
+    Records in one piece are decoded where they are read and never move; only segments do, grouped by their origin's
+    identifier. Archives are read twice, so nothing of them is written a second time.
     """
     files = spark.read.format("binaryFile").load(folder).select("content")
-    found = materialise(files.mapInArrow(_read, "origin long, number long, total long, record_type string, refers_to long, digest string, block binary"))
-    piece = F.struct("number", "total", "block")
-    single = found.where("number = 0 and record_type <> 'revisit'").select("origin", F.array(piece).alias("segments"))
-    several = found.where("number > 0").groupBy("origin").agg(F.collect_list(piece).alias("segments"))
-    data = single.union(several).mapInArrow(_payloads, "page_id long, payload binary")
-    heads = found.where("record_type <> 'continuation'").select(F.col("origin").alias("page_id"), "digest", "record_type", "refers_to")
-    return heads.join(data, "page_id", "left")
+    kind = "page_id long, payload binary, digest string, record_type string, refers_to long"
+    single = files.mapInArrow(_singles, kind)
+    pieces = files.mapInArrow(_segments, "origin long, number long, total long, block binary, digest string, record_type string, refers_to long")
+    several = pieces.groupBy("origin").agg(F.collect_list(F.struct("number", "total", "block", "digest", "record_type", "refers_to")).alias("segments"))
+    return single.union(several.mapInArrow(_assembled, kind))
 
 
 def archive_pages(pages: DataFrame, segment: int = 8192, chunk: int = 2048) -> DataFrame:
     """Write the pages to archives in the shared folder, read them back, and give page_id, payload_bytes, payload_digest, record_type, refers_to.
 
     Revisits take size and digest of the response that they refer to; payloads are hashed after decoding. An empty
-    table gives no row; rows without page_id can't be archived and are left out; page_id is unique.
+    table gives no row; rows without page_id can't be archived and are left out; rows that repeat a page_id aren't
+    allowed (their segments would be repeated: ValueError, or rows repeat).
     """
     spark = pages.sparkSession
     folder = f"{shared_folder(spark)}/coverdp-warc-{uuid.uuid4().hex}"
     write(pages, folder, segment, chunk)
     back = read(spark, folder)
     small = materialise(back.select("page_id", F.octet_length("payload").cast("long").alias("payload_bytes"), F.sha2("payload", 256).alias("payload_digest"), "record_type", "refers_to"))
+    remove(spark, folder)
     whole = small.where("record_type <> 'revisit'")
     source = whole.select(F.col("page_id").alias("refers_to"), "payload_bytes", "payload_digest")
     again = small.where("record_type = 'revisit'").drop("payload_bytes", "payload_digest").join(source, "refers_to", "left")
