@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from coverdp.llm.textkit import U, col, mix, slices, span_hashes
 
-#: Words that a worker remembers before it starts afresh.
+#: Words of a generation: a worker remembers the present one and the one before, so frequent words stay.
 REMEMBER = 150_000
 
 
@@ -37,6 +37,7 @@ class PerfectHash:
 
     @classmethod
     def build(cls, h: np.ndarray) -> PerfectHash:
+        """Buckets of one size, from the largest down, try one displacement a round together; of those that clash the first stays."""
         n = len(h)
         buckets = max(1, n // 3)
         bucket = (h % U(buckets)).astype(np.int64)
@@ -44,17 +45,20 @@ class PerfectHash:
         begin = np.searchsorted(bucket[order], np.arange(buckets + 1))
         sizes = np.diff(begin)
         shift, free = np.zeros(buckets, np.int64), np.ones(n, bool)
-        for b in np.argsort(-sizes, kind="stable"):
-            if sizes[b] < 2:
-                break
-            own, d = h[order[begin[b] : begin[b + 1]]], 1
-            while True:
-                s = _slots(own, d, n)
-                if free[s].all() and len(set(s.tolist())) == len(s):
-                    break
+        for size in range(int(sizes.max(initial=0)), 1, -1):
+            todo, d = np.flatnonzero(sizes == size), 0
+            keys = h[order[begin[todo][:, None] + np.arange(size)]]
+            while len(todo):
                 d += 1
-            shift[b] = d
-            free[s] = False
+                slot = np.sort(_slots(keys, d, n), axis=1)
+                fits = free[slot].all(axis=1) & (np.diff(slot, axis=1) > 0).all(axis=1)
+                taken, first = np.unique(slot[fits].ravel(), return_index=True)
+                owner = np.full(n, -1)
+                owner[taken] = first // size
+                fits[fits] = (owner[slot[fits]] == np.arange(int(fits.sum()))[:, None]).all(axis=1)
+                shift[todo[fits]] = d
+                free[slot[fits]] = False
+                todo, keys = todo[~fits], keys[~fits]
         left = np.flatnonzero(free)
         shift[np.flatnonzero(sizes == 1)] = -left[: int((sizes == 1).sum())] - 1
         return cls(shift, n)
@@ -75,7 +79,13 @@ class Codec:
         self.at_slot = np.zeros(len(keys), np.int64)
         self.at_slot[self.table.slots(h)] = [ranks[k] for k in keys]
         self.bytes_of = {r: k for k, r in ranks.items()}
-        self.known: dict[str, tuple[int, str, bytes]] = {}  # ids, the ids in decimal, what they decode to
+        self.first_rank = [ranks.get(bytes((a, b)), -1) for a in range(256) for b in range(256)]
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known: dict[str, str] = {}  # the ids in decimal
+        self.before: dict[str, str] = {}
+        self.odd: dict[str, bytes] = {}  # what ids decode to, where that isn't the pre-token itself
         self.split = None
 
     @classmethod
@@ -84,7 +94,7 @@ class Codec:
             return cls({base64.b64decode(a): int(b) for a, b in (x.split() for x in lines if x.strip())}, pattern)
 
     def __getstate__(self):
-        return self.__dict__ | {"known": {}, "split": None}
+        return self.__dict__ | {"known": {}, "before": {}, "odd": {}, "split": None}
 
     def merge(self, word: bytes) -> list[int]:
         """Second tier: the best-ranked adjacent pair first, the leftmost of equals, from a heap with stale entries over linked bytes.
@@ -94,7 +104,8 @@ class Codec:
         """
         get, n = self.ranks.get, len(word)
         stop, back = list(range(1, n + 1)), list(range(-1, n - 1))
-        pair = [get(word[i : i + 2], -1) for i in range(n - 1)]
+        first = self.first_rank
+        pair = [first[a << 8 | b] for a, b in zip(word, word[1:])]
         pair.append(-1)
         heap = [r * n + i for i, r in enumerate(pair) if r >= 0]
         heapify(heap)
@@ -120,18 +131,34 @@ class Codec:
             i = stop[i]
         return out
 
-    def learn(self, tokens: set[str]) -> None:
-        """Both tiers for pre-tokens that this worker hasn't met."""
-        if len(self.known) > REMEMBER:
-            self.known.clear()
-        new = [t for t in tokens if t not in self.known]
-        raw = [t.encode("utf-8", "surrogatepass") for t in new]
+    def learn(self, tokens: list[str]) -> None:
+        """Both tiers for the pre-tokens that this generation hasn't met."""
+        known, before = self.known, self.before
+        missing = set(tokens).difference(known)
+        if not missing:
+            return
+        if len(known) > REMEMBER:
+            self.before, self.known = known, {}
+            known, before, missing = self.known, known, set(tokens)
+        new = []
+        for t in missing:
+            if (had := before.get(t)) is None:
+                new.append(t)
+            else:
+                known[t] = had
         if not new:
             return
+        raw = [t.encode("utf-8", "surrogatepass") for t in new]
+        bytes_of, merge = self.bytes_of, self.merge
         ids = self.at_slot[self.table.slots(_hashes(raw))].tolist()
         for t, b, i in zip(new, raw, ids, strict=True):
-            own = (i,) if self.bytes_of[i] == b else self.merge(b)
-            self.known[t] = len(own), " ".join(map(str, own)), self.decode(own)
+            if bytes_of[i] == b:
+                known[t] = str(i)
+                continue
+            own = merge(b)
+            known[t] = " ".join(map(str, own))
+            if (back := self.decode(own)) != b:
+                self.odd[t] = back
 
     def pretokens(self, text: str) -> list[str]:
         if self.split is None:
@@ -140,21 +167,25 @@ class Codec:
 
     def encode(self, text: str) -> list[int]:
         toks = self.pretokens(text)
-        self.learn(set(toks))
-        return [int(i) for t in toks for i in self.known[t][1].split(" ")]
+        self.learn(toks)
+        return [int(i) for t in toks for i in self.known[t].split(" ")]
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
 
     def digest(self, text: str) -> tuple[int, str, str]:
-        """(number of ids, SHA-256 of the ids in decimal, SHA-256 of their decoding)."""
+        """(number of ids, SHA-256 of the ids in decimal, SHA-256 of their decoding).
+
+        Every pre-token's ids are decoded when they're learnt; what they gave is joined here.
+        """
         toks = self.pretokens(text)
-        self.learn(set(toks))
-        if not toks:
-            toks = [""]
-            self.known[""] = 0, "", b""
-        n, written, raw = zip(*map(self.known.__getitem__, toks), strict=True)
-        return sum(n), hashlib.sha256(" ".join(written).encode()).hexdigest(), hashlib.sha256(b"".join(raw)).hexdigest()
+        self.learn(toks)
+        written = " ".join(map(self.known.__getitem__, toks))
+        if self.odd:
+            raw = b"".join(self.odd[t] if t in self.odd else t.encode("utf-8", "surrogatepass") for t in toks)
+        else:
+            raw = "".join(toks).encode("utf-8", "surrogatepass")
+        return written.count(" ") + 1 if toks else 0, hashlib.sha256(written.encode()).hexdigest(), hashlib.sha256(raw).hexdigest()
 
 
 def _source(docs: DataFrame) -> DataFrame:
