@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from coverdp.llm.components import components
 from coverdp.llm.textkit import U, col, mix
-from coverdp.runtime import is_empty, materialise
+from coverdp.runtime import is_empty, materialise, tidy
 
 
 @dataclass(frozen=True)
@@ -40,11 +40,10 @@ class Paths:
     def recall(self, similarity: float) -> float:
         return 1 - (1 - similarity**self.depth) ** self.trees
 
-    @property
-    def plausible(self) -> float:
+    def plausible(self, coordinates: int) -> float:
         """Estimates below this are not confirmed: four standard deviations under the threshold."""
         s = self.percent / 100
-        return s - 4 * (s * (1 - s) / self.coordinates) ** 0.5
+        return s - 4 * (s * (1 - s) / coordinates) ** 0.5
 
 
 def _factors(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -76,33 +75,52 @@ def _node_keys(sig: np.ndarray, tree: np.ndarray, start: np.ndarray, depth: int)
     return key.view(np.int64)
 
 
-def _signatures(column: pa.Array, n: int) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(-1, n) if len(column) else np.zeros((0, n), np.uint16)
-
-
 def _first_level(p: Paths) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """The nodes of each record; signatures of another length have trees of their own."""
+
     def run(batches):
         for whole in batches:
             for at in range(0, whole.num_rows, 2000):
                 b = whole.slice(at, 2000)
-                sig, ids = _signatures(col(b, "sig"), p.coordinates), np.asarray(col(b, "rid"))
-                for t in range(p.trees):
-                    tree = np.full(len(ids), t)
-                    yield pa.record_batch({"rid": ids, "tree": tree.astype(np.int32), "node": _node_keys(sig, tree, tree * p.depth, p.depth)})
+                raw, every = col(b, "sig").to_pylist(), np.asarray(col(b, "rid"))
+                length = np.array([len(x) for x in raw])
+                for own in np.unique(length).tolist():
+                    rows = np.flatnonzero(length == own)
+                    sig, ids = np.frombuffer(b"".join(raw[i] for i in rows), np.uint16).reshape(len(rows), -1), every[rows]
+                    trees = sig.shape[1] // p.depth
+                    for t in range(trees):
+                        tree = np.full(len(ids), t + (0 if trees == p.trees else 1000 * trees))
+                        yield pa.record_batch({"node": _node_keys(sig, tree, np.full(len(ids), t * p.depth), p.depth), "rid": ids})
 
     return run
 
 
+def _met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by node those whose node has another; a row is held back until the next one is seen."""
+    node, rid, known = np.zeros(0, np.int64), np.zeros(0, np.int64), False
+    for b in batches:
+        node, rid = np.concatenate([node, np.asarray(col(b, "node"))]), np.concatenate([rid, np.asarray(col(b, "rid"))])
+        if len(node) < 2:
+            continue
+        same = node[1:] == node[:-1]
+        keep = np.concatenate([[known], same[:-1]]) | same
+        yield pa.record_batch({"node": node[:-1][keep], "rid": rid[:-1][keep]})
+        node, rid, known = node[-1:], rid[-1:], bool(same[-1])
+    if known:
+        yield pa.record_batch({"node": node, "rid": rid})
+
+
 def _groups(records: DataFrame, p: Paths) -> DataFrame:
     """(node, rid) of all nodes with two records or more; nodes beyond `leaf` as all pairs of their blocks."""
-    keyed = records.select("rid", "sig").mapInArrow(_first_level(p), "rid long, tree int, node long")
-    sizes = keyed.groupBy("node").agg(F.count("*").alias("size")).where("size > 1")
-    sized = materialise(keyed.select("rid", "node").join(sizes, "node"))
+    keyed = records.select("rid", "sig").mapInArrow(_first_level(p), "node long, rid long")
+    met = materialise(keyed.repartition("node").sortWithinPartitions("node").mapInArrow(_met, "node long, rid long"))
+    sizes = met.groupBy("node").agg(F.count("*").alias("size")).where(F.col("size") > p.leaf)
+    big = met.join(materialise(sizes), "node", "left")
     blocks = F.ceil(F.col("size") / p.block).cast("int")
-    big = sized.where(F.col("size") > p.leaf).select("node", "rid", blocks.alias("k"), F.pmod(F.xxhash64("rid"), blocks).cast("int").alias("own"))
-    paired = big.select("node", "rid", "k", "own", F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("other")).where("other <> own or k = 1")
+    paired = big.where("size is not null").select("node", "rid", blocks.alias("k"), F.pmod(F.xxhash64("rid"), blocks).cast("int").alias("own"))
+    paired = paired.select("node", "rid", "k", "own", F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("other")).where("other <> own or k = 1")
     paired = paired.select(F.xxhash64("node", F.least("own", "other"), F.greatest("own", "other")).alias("node"), "rid")
-    return sized.where(F.col("size") <= p.leaf).select("node", "rid").union(paired)
+    return big.where("size is null").select("node", "rid").union(paired)
 
 
 GROUP = "members array<long>, adj binary, central array<long>"
@@ -117,11 +135,11 @@ def _plausible(p: Paths) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Rec
                 group = sorted(group.as_py(), key=lambda g: g["rid"])
                 sig = np.frombuffer(b"".join(g["sig"] for g in group), np.uint16).reshape(len(group), -1)
                 n = np.array([g["n"] for g in group], float)
-                near = np.empty((len(group), len(group)), bool)
+                near, least = np.empty((len(group), len(group)), bool), p.plausible(sig.shape[1])
                 like = np.empty(len(group))
                 for i in range(len(group)):
                     same = (sig == sig[i]).mean(axis=1)
-                    near[i], like[i] = same >= p.plausible, same.sum()
+                    near[i], like[i] = same >= least, same.sum()
                 near &= np.minimum(n[:, None], n) * 100 >= np.maximum(n[:, None], n) * p.percent
                 np.fill_diagonal(near, False)
                 live = np.flatnonzero(near.any(axis=1))
@@ -244,6 +262,7 @@ def link(records: DataFrame, full_sets: Callable[[DataFrame], DataFrame], p: Pat
     attached = _groups(records, p).join(records.select("rid", "n", "sig"), "rid")
     groups = attached.groupBy("node").agg(F.collect_list(F.struct("rid", "n", "sig")).alias("group")).where(F.size("group") > 1)
     groups = materialise(groups.select("group").mapInArrow(_plausible(p), GROUP).distinct().withColumn("gid", F.xxhash64("members", "adj")))
+    tidy(records)
     offered = materialise(groups.mapInArrow(_partners, "a long, b long, least boolean").groupBy("b", "least", F.when(~F.col("least"), F.col("a")).alias("c")).agg(F.min("a").alias("a")))
     first = offered.select("a", "b").distinct()
     needed = groups.select(F.explode("members").alias("rid")).distinct()

@@ -4,6 +4,10 @@ import hashlib
 import re
 from collections import defaultdict
 
+import numpy as np
+
+from coverdp.llm import textkit
+
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 FOLD = str.maketrans({chr(i): chr(i + 32) for i in range(65, 91)})
 
@@ -69,3 +73,22 @@ def base_statistics(text):
     covered = {i + j for places in windows.values() if len(places) > 1 for i in places for j in range(3)}
     lines = [x for x in text.split("\n") if WORD.search(x)]
     return len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in text), len(lines) - len(set(lines)), len(covered)
+
+
+def paragraphs(text, least=20, passage=32, reach=16):
+    """(first word, kind, first byte, end, words) of a text's lines and passages."""
+    raw = (text or "").encode()
+    found = [(m.start(), m.end()) for m in re.finditer(rb"[^\x20\x09-\x0D]+", raw)]
+    low = [raw[a:z].lower() for a, z in found]
+    at = 0
+    for line in raw.split(b"\n"):
+        own = [i for i, (a, _) in enumerate(found) if at <= a < at + len(line)]
+        if len(own) >= least:
+            yield own[0], 0, at, min(at + len(line) + 1, len(raw)), b" ".join(low[own[0] : own[-1] + 1]).decode()
+        at += len(line) + 1
+    h = [textkit.span_hashes(np.frombuffer(w, np.uint8), np.array([0]), np.array([len(w)]))[0] for w in low]
+    with np.errstate(over="ignore"):
+        pair = [int(textkit.mix(np.array([a * textkit.STEP + b]))[0] >> np.uint64(1)) for a, b in zip(h, h[1:])]
+    for i, x in enumerate(pair):
+        if i + passage <= len(low) and all(x < y for y in pair[max(0, i - reach) : i]) and all(x <= y for y in pair[i + 1 : i + reach + 1]):
+            yield i, 1, found[i][0], found[i + passage - 1][1], b" ".join(low[i : i + passage]).decode()

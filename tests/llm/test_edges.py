@@ -1,6 +1,7 @@
 """Nulls, empty and very long texts, repeated rows, empty tables and clashing columns."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from coverdp.llm import bpe, decontaminate, langid, linechunks, neardup, paragraphs, quality, substrings, toxicity, warc
 from coverdp.llm.queries import codec
@@ -29,9 +30,14 @@ def test_near_duplicates(odd, empty):
 
 
 def test_paragraphs(odd, empty):
-    got = {r["doc_id"]: r for r in paragraphs.removals(odd).collect()}
-    assert len(got) == 8 and got[6]["removed"] == [0, 1] and got[1]["n_removed"] == 0
+    got = {r["doc_id"]: r for r in paragraphs.removals(odd, least_words=5).collect()}
+    whole = sum(len(x) + 1 for x in ("one two three four five six seven eight nine ten eleven twelve",) * 2) + 1
+    assert len(got) == 8 and [tuple(x) for x in got[6]["removed"]] == [(0, whole)] and got[1]["n_removed"] == 0
     assert paragraphs.removals(empty).count() == 0
+    clash = odd.withColumn("gone", F.lit("z"))
+    cut = {r["doc_id"]: r for r in paragraphs.drop_repeated_paragraphs(clash, least_words=5).collect()}
+    assert len(cut) == 8 and cut[6]["text"] == "" and cut[6]["gone"] == "z" and cut[1]["text"] is None and cut[5]["text"].count("\n") == 1
+    assert paragraphs.drop_repeated_paragraphs(empty).columns == empty.columns
 
 
 def test_line_chunks(odd, empty):

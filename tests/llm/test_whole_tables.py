@@ -89,12 +89,19 @@ def test_substrings(spark, tiny, docs):
 
 
 def test_paragraphs(spark, tiny, docs):
-    got = Q.op8_paragraph_dedup(spark, tiny).toPandas()
-    parts = [(i << 21 | n, x) for i, t in rows(docs) for n, x in enumerate((t or "").split("\n")) if len(x.split()) >= 5]
-    want = brute.linked(brute.shingle_sets(parts, 5))
-    gone = {i for i, c in want.items() if i != c}
-    assert {int(d) << 21 | int(n) for d, r in zip(got.doc_id, got.removed, strict=True) for n in r} == gone
-    assert len(got) == len(docs) and got.n_removed.sum() == len(gone)
+    got = Q.op8_paragraph_dedup(spark, tiny).toPandas().set_index("doc_id")
+    units = {(i, *u[:2]): u for i, t in rows(docs) for u in brute.paragraphs(t)}
+    gone: dict[int, set[int]] = {i: set() for i in docs.doc_id}
+    for kind in (0, 1):
+        own = sorted(k for k in units if k[2] == kind)
+        want = brute.linked(brute.shingle_sets([(k, units[k][4]) for k in own], 5))
+        for k, c in want.items():
+            if k != c:
+                gone[k[0]] |= set(range(units[k][2], units[k][3]))
+    assert len(got) == len(docs) and sum(map(len, gone.values())) > 0
+    for i, want in gone.items():
+        assert {x for g in got.loc[i].removed for x in range(g["at"], g["stop"])} == want
+        assert got.loc[i].n_removed == sum(x - 1 not in want for x in want)
 
 
 def test_quality(spark, tiny, docs):
