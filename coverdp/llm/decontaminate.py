@@ -101,28 +101,34 @@ class Items:
 
 
 def align(a: np.ndarray, b: np.ndarray) -> tuple[int, int, int, int]:
-    """Smith-Waterman, 1 for a match and -1 for a change or a gap: (matches, columns, first, end in b) of a best local alignment of word sequences."""
-    n, m = len(a), len(b)
-    score = np.zeros((n + 1, m + 1), np.int32)
-    ramp = np.arange(m, dtype=np.int32)
-    for i in range(1, n + 1):
-        step = np.where(b == a[i - 1], 1, -1)
-        best = np.maximum(np.maximum(score[i - 1, :-1] + step, score[i - 1, 1:] - 1), 0)
-        # gaps along the row: a running maximum of what falls by one a step
-        score[i, 1:] = np.maximum.accumulate(best + ramp) - ramp
-    i, j = np.unravel_index(int(score.argmax()), score.shape)
-    end, matches, columns = int(j), 0, 0
-    while i and j and score[i, j] > 0:
-        same = a[i - 1] == b[j - 1]
-        columns += 1
-        if score[i, j] == score[i - 1, j - 1] + (1 if same else -1):
-            matches += int(same)
-            i, j = i - 1, j - 1
-        elif score[i, j] == score[i - 1, j] - 1:
-            i -= 1
-        else:
-            j -= 1
-    return matches, columns, int(j), end
+    """Smith-Waterman, 1 for a match and -1 for a change or a gap: (matches, columns, first, end in b) of a best local alignment of word sequences.
+
+    Each cell carries the matches, columns and first word of its alignment along, so two rows are held whatever the
+    length of a. Of equal scores the first cell, by rows, counts; within a cell a pair goes before a gap.
+    """
+    m = len(b)
+    at = np.arange(m, dtype=np.int32)
+    score, matches, columns = (np.zeros(m + 1, np.int32) for _ in range(3))
+    begin = np.arange(m + 1, dtype=np.int32)
+    best = 0, 0, 0, 0, 0
+    for word in a:
+        same = b == word
+        pair, gap = score[:-1] + np.where(same, 1, -1), score[1:] - 1
+        own = np.maximum(np.maximum(pair, gap), 0)
+        by_pair, none = pair == own, own == 0
+        own_matches = np.where(none, 0, np.where(by_pair, matches[:-1] + same, matches[1:]))
+        own_columns = np.where(none, 0, np.where(by_pair, columns[:-1], columns[1:]) + 1)
+        own_begin = np.where(none, at + 1, np.where(by_pair, begin[:-1], begin[1:]))
+        # gaps along the row: a running maximum of what falls by one a step, and where it was reached last
+        reached = np.maximum.accumulate(own + at)
+        source = np.maximum.accumulate(np.where(own + at == reached, at, 0))
+        score[1:] = reached - at
+        matches[1:], columns[1:], begin[1:] = own_matches[source], own_columns[source] + at - source, own_begin[source]
+        begin[0] = 0
+        top = int(score.argmax())
+        if score[top] > best[0]:
+            best = int(score[top]), int(matches[top]), int(columns[top]), int(begin[top]), top
+    return best[1:]
 
 
 def _count(shared):
