@@ -53,19 +53,22 @@ def _bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.record_batch({"h1": pa.array(h1, pa.int64()), "h2": pa.array(h2, pa.int64()), "raw": pa.array(raw, pa.binary())})
 
 
-def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        out = []
-        for text, spans in zip(col(b, "text").to_pylist(), col(b, "removed_spans").to_pylist(), strict=True):
-            if spans:
-                own, at, kept = (text or "").encode(), 0, []
-                for x in sorted(spans, key=lambda x: x["at"]):
-                    kept.append(own[at : x["at"]])
-                    at = max(at, x["stop"])
-                text = b"".join([*kept, own[at:]]).decode()
-            out.append(text)
-        i = b.schema.get_field_index("text")
-        yield b.set_column(i, b.schema.field(i).with_type(pa.string()), pa.array(out, pa.string()))
+def _cut(name: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = []
+            for text, spans in zip(col(b, "text").to_pylist(), col(b, name).to_pylist(), strict=True):
+                if spans:
+                    own, at, kept = (text or "").encode(), 0, []
+                    for x in sorted(spans, key=lambda x: x["at"]):
+                        kept.append(own[at : x["at"]])
+                        at = max(at, x["stop"])
+                    text = b"".join([*kept, own[at:]]).decode(errors="ignore")
+                out.append(text)
+            i = b.schema.get_field_index("text")
+            yield b.set_column(i, b.schema.field(i).with_type(pa.string()), pa.array(out, pa.string()))
+
+    return run
 
 
 def repeated_chunks(docs: DataFrame) -> DataFrame:
@@ -88,13 +91,19 @@ def repeated_chunks(docs: DataFrame) -> DataFrame:
     return chunks.groupBy("doc_id").agg(F.count("*").alias("n_chunks")).join(gone, "doc_id", "left")
 
 
-def drop_repeated_chunks(docs: DataFrame) -> DataFrame:
-    """docs with the later copies of repeated runs of lines cut from text, and n_chunks, n_removed_lines; no row goes.
+def drop_repeated_chunks(docs: DataFrame, names: tuple[str, str] = ("n_chunks", "n_removed_lines")) -> DataFrame:
+    """docs with the later copies of repeated runs of lines cut from text, and two counts under `names`; no row goes.
 
-    Null texts stay null, a text that is nothing but later copies becomes empty. Input columns named like the two new
-    ones are replaced. Rows that repeat a doc_id are cut alike.
+    Null texts stay null, a text that is nothing but later copies becomes empty. Input columns with one of the two
+    names are replaced, all others stay. Rows that repeat a doc_id are cut alike; where their texts differ, each loses
+    the spans of all of them.
     """
     found = materialise(repeated_chunks(docs))
-    base = docs.drop("n_chunks", "n_removed_lines", "removed_spans")
-    wide = base.join(found, "doc_id", "left").select(*base.columns, F.coalesce("n_chunks", F.lit(0)).cast("long").alias("n_chunks"), F.coalesce("n_removed_lines", F.lit(0)).cast("long").alias("n_removed_lines"), "removed_spans")
-    return wide.mapInArrow(_cut, wide.schema).drop("removed_spans")
+    base = docs.drop(*names)
+    spans = "removed_spans"
+    while spans in docs.columns:
+        spans += "_"
+    mine = found.select(F.col("doc_id"), F.col("n_chunks").alias(f"{spans}a"), F.col("n_removed_lines").alias(f"{spans}b"), F.col("removed_spans").alias(spans))
+    counts = (F.coalesce(f"{spans}{x}", F.lit(0)).cast("long").alias(name) for x, name in zip("ab", names, strict=True))
+    wide = base.join(mine, "doc_id", "left").select(*base.columns, *counts, spans)
+    return wide.mapInArrow(_cut(spans), wide.schema).drop(spans)
