@@ -20,8 +20,9 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
     """Later copies of repeated multi-line chunks are cut; n_chars follows, every document stays."""
     from pyspark.sql import functions as F
 
-    cut = linechunks.drop_repeated_chunks(docs)
-    return cut.withColumn("n_chars", F.when(F.col("n_removed_lines") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    windows, lines = (f"_{'_' * max(map(len, docs.columns))}{x}" for x in ("windows", "lines"))  # no column is called so
+    cut = linechunks.drop_repeated_chunks(docs, (windows, lines))
+    return cut.withColumn("n_chars", F.when(F.col(lines) > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
