@@ -125,20 +125,21 @@ for _key, _graph, _p in (
     _list(_key, _graph, _p)
 
 
-def _decide(key: str, graph: str, p: P.Pattern, answer: bool, **options) -> None:
-    build = GRAPHS[graph][0]
-    query(key, f"SELECT {str(answer).upper()} AS found")(lambda s, d: search.decide(fixed(build(s, d)), p, **options).select("found"))
+def _decide(key: str, graph: str, p: P.Pattern, **options) -> None:
+    build, e = GRAPHS[graph]
+    query(key, pattern_sql(e, p, select="count(*) > 0 AS found"))(lambda s, d: search.decide(fixed(build(s, d)), p, **options).select("found"))
 
 
-_decide("decide_triangle_lattice", "lattice", P.TRIANGLE, True)
-_decide("decide_triangle_lattice_safe_window", "lattice", P.TRIANGLE, True, window="safe")
-_decide("decide_clique4_lattice", "lattice", P.clique(4), False)
-_decide("decide_clique5_gabriel", "gabriel", P.clique(5), False)
-_decide("decide_triangle_hierarchy", "hierarchy", P.TRIANGLE, False)
-_decide("decide_c4_conversation", "conversation", P.cycle(4), True)
-_decide("torus_c4", "torus", P.cycle(4), True, family="apex_minor_free")
-_decide("decide_bowtie_lattice", "lattice", P.BOWTIE, True)
-_decide("decide_wheel4_gabriel", "gabriel", P.clique(4), False)
+_decide("decide_triangle_lattice", "lattice", P.TRIANGLE)
+_decide("decide_triangle_lattice_safe_window", "lattice", P.TRIANGLE, window="safe")
+_decide("decide_clique4_lattice", "lattice", P.clique(4))
+_decide("decide_clique4_gabriel", "gabriel", P.clique(4))
+_decide("decide_clique5_gabriel", "gabriel", P.clique(5))
+_decide("decide_triangle_hierarchy", "hierarchy", P.TRIANGLE)
+_decide("decide_c4_conversation", "conversation", P.cycle(4))
+_decide("torus_c4", "torus", P.cycle(4), family="bounded_genus")
+_decide("decide_bowtie_lattice", "lattice", P.BOWTIE)
+_decide("decide_wheel4_gabriel", "gabriel", P.wheel(4))
 
 
 @query("count_c4_lattice", pattern_sql(E_LATTICE, P.cycle(4), select="count(*) AS images, count(*) * 8 AS mappings"))
@@ -422,11 +423,27 @@ def _witness(s, d):
     return one(s, size=len(cut), cuts=connectivity.separates(adj, set(cut), set(adj)))
 
 
-@query("cut_vertices_fan", "SELECT CAST(0 AS BIGINT) AS n")
+@query("cut_vertices_fan", f"""WITH u AS (SELECT DISTINCT user_id AS u FROM events) SELECT {KIND} + a.u AS id FROM u a WHERE EXISTS (SELECT 1 FROM u b WHERE b.u IN (a.u - 1, a.u + 1))""")
 def _cut_fan_rows(s, d):
-    # ring of nations: none is a cut vertex
-    g = fixed(G.nation_ring(s, d))
-    return connectivity.cut_vertices(g).agg(F.count("*").alias("n"))
+    # a user's events hang on the rest by their hub alone
+    return connectivity.cut_vertices(fixed(G.event_fan_graph(s, d)))
+
+
+@query("cut_vertices_ring", "SELECT CAST(0 AS BIGINT) AS n")
+def _cut_ring_rows(s, d):
+    return connectivity.cut_vertices(fixed(G.nation_ring(s, d))).agg(F.count("*").alias("n"))
+
+
+@query("connected_predicates", """SELECT * FROM (VALUES ('ring', TRUE, TRUE, FALSE), ('wheel', TRUE, TRUE, TRUE), ('customers', FALSE, FALSE, FALSE)) t(graph, one, two, three)""")
+def _predicates(s, d):
+    out = None
+    for name, build in (("ring", G.nation_ring), ("wheel", lambda s, d: G.nation_ring(s, d, 1)), ("customers", G.customer_nation_supplier_graph)):
+        g = fixed(build(s, d))
+        first = connectivity.is_connected(g)
+        second = first and connectivity.is_biconnected(g)
+        row = one(s, graph=name, one=first, two=second, three=second and connectivity.is_triconnected(g))
+        out = row if out is None else out.union(row)
+    return out
 
 
 @query("cut_vertices_hierarchy", f"WITH {E_HIERARCHY}, r AS (SELECT src AS id FROM e UNION ALL SELECT dst FROM e) SELECT id FROM r GROUP BY id HAVING count(*) > 1")
@@ -447,22 +464,28 @@ def _contract(s, d):
     return q.vertices.agg(F.count("*").alias("n")).crossJoin(q.edges.agg(F.count("*").alias("m")))  # one row each
 
 
-def _marked_crop(s, d, side=8):
-    g = fixed(G.lattice_crop(s, d, side))
-    return g, g.vertices.where("label = '1-URGENT'").select("id")
+@query("separating_c4_marked", "SELECT * FROM (VALUES ('wheel', FALSE, FALSE), ('bipyramid', TRUE, TRUE)) t(graph, program, enumerated)")
+def _separating(s, d):
+    # two poles and two nations part the ring; a hub and three neighbours don't
+    out = None
+    for name, hubs in (("wheel", 1), ("bipyramid", 2)):
+        g = fixed(G.nation_ring(s, d, hubs))
+        marked = g.vertices.select("id")
+        row = one(s, graph=name, program=connectivity.decide_separating(g, P.cycle(4), marked), enumerated=not is_empty(connectivity.enumerate_then_separate(g, P.cycle(4), marked)))
+        out = row if out is None else out.union(row)
+    return out
 
 
-@query("separating_c4_marked", "SELECT TRUE AS same")
-def _separating(s, d):
-    g, marked = _marked_crop(s, d)
-    by_join = not is_empty(connectivity.enumerate_then_separate(g, P.cycle(4), marked))
-    return one(s, same=connectivity.decide_separating(g, P.cycle(4), marked, reps=6) == by_join)
+_C4_GABRIEL = pattern_sql(E_GABRIEL, P.cycle(4))
 
 
-@query("enumerate_then_separate")
+@query("enumerate_then_separate", f"""WITH RECURSIVE found AS ({_C4_GABRIEL}), {E_GABRIEL}, r AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e),
+reach(a, b, c, d, id) AS (SELECT a, b, c, d, (SELECT min(id) FROM p WHERE id NOT IN (a, b, c, d)) FROM found
+ UNION SELECT x.a, x.b, x.c, x.d, r.dst FROM reach x JOIN r ON r.src = x.id WHERE r.dst <> x.a AND r.dst <> x.b AND r.dst <> x.c AND r.dst <> x.d)
+SELECT a, b, c, d FROM reach GROUP BY a, b, c, d HAVING count(*) < (SELECT count(*) FROM p) - 4""")
 def _enumerate(s, d):
-    g, marked = _marked_crop(s, d)
-    return columns(connectivity.enumerate_then_separate(g, P.cycle(4), marked), 4)
+    g = fixed(G.embedding_gabriel_graph(s, d))
+    return columns(connectivity.enumerate_then_separate(g, P.cycle(4), g.vertices.select("id")), 4)
 
 
 @query("separating_uncontracted_counterexample", "SELECT FALSE AS contracted, TRUE AS uncontracted")
@@ -474,13 +497,14 @@ def _uncontracted(s, d):
 
 
 # guards, bounds and simulations
-@query("guard_report", " UNION ALL ".join(f"SELECT * FROM (WITH {e} SELECT '{k}' AS graph, count(*) AS m FROM e)" for k, (_, e) in GRAPHS.items() if k not in ("gabriel", "rng")))
+@query("guard_report", " UNION ALL ".join(f"SELECT * FROM (WITH {e}, q AS (SELECT count(DISTINCT id) AS n FROM (SELECT src AS id FROM e UNION ALL SELECT dst FROM e)) SELECT '{k}' AS graph, n, m, m <= 3 * n - 6 AS planar_possible FROM q, (SELECT count(*) AS m FROM e))" for k, (_, e) in GRAPHS.items()))
 def _guards(s, d):
     out = None
     for k, (build, _) in GRAPHS.items():
-        if k not in ("gabriel", "rng"):
-            row = build(s, d).edges.agg(F.count("*").alias("m")).select(F.lit(k).alias("graph"), "m")
-            out = row if out is None else out.union(row)
+        e = build(s, d).edges
+        n = e.select(F.col("src").alias("id")).union(e.select("dst")).agg(F.count_distinct("id").alias("n"))
+        row = n.crossJoin(e.agg(F.count("*").alias("m"))).select(F.lit(k).alias("graph"), "n", "m", (F.col("m") <= 3 * F.col("n") - 6).alias("planar_possible"))  # one row each
+        out = row if out is None else out.union(row)
     return out
 
 
@@ -502,10 +526,11 @@ def _apex(s, d):
     return both.withColumn("wider", F.col("apex") > F.col("plain"))
 
 
-@query("coloring_hit_rate", "SELECT l, k, round(pow(l, -k), 6) AS rate FROM (VALUES (2, 4), (2, 6), (2, 5), (3, 6)) t(l, k)")
+@query("coloring_hit_rate", f"""WITH {E_RING}, c AS (SELECT r AS rep, n_nationkey AS id, CAST(floor((CAST(('0x' || substr(md5('1|colour|' || r || '|' || n_nationkey), 1, 13)) AS BIGINT) + 0.5) / 4503599627370496.0 * 2) AS INTEGER) AS colour FROM nation, (SELECT unnest(range(0, 64)) AS r)),
+w AS (SELECT a.rep, a.colour, e.src, e.dst FROM e JOIN c a ON a.id = e.src JOIN c b ON b.id = e.dst AND b.rep = a.rep AND b.colour = a.colour)
+SELECT 4 * (SELECT count(*) FROM w x JOIN w y ON x.rep = y.rep AND x.colour = 0 AND y.colour = 1) AS hits, 64 * 4 * (SELECT count(*) FROM e x JOIN e y ON x.src <> y.src AND x.src <> y.dst AND x.dst <> y.src AND x.dst <> y.dst) AS total, TRUE AS near""")
 def _hits(s, d):
-    rows = [(len(p.components), p.k, round(disconnected.hit_rate(p), 6)) for p in (P.TWO_EDGES, P.TWO_TRIANGLES, P.EDGE_PLUS_WEDGE, P.THREE_EDGES)]
-    return s.createDataFrame(rows, "l int, k int, rate double")
+    return ms.coloring_hits(fixed(G.nation_ring(s, d)), P.TWO_EDGES)
 
 
 @query("coin_flip_tail", "SELECT CAST(r AS INTEGER) AS run, TRUE AS ok FROM (SELECT unnest(range(4, 15)) AS r)")

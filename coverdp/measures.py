@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from coverdp.model import TargetGraph
-from coverdp.operators.clustering import crossing_edges, exponential_shift_clustering
+from coverdp.operators.clustering import crossing_edges, exponential_shift_clustering, uniform
 from coverdp.operators.cover import PIECE, window_edges, windows
 from coverdp.operators.dp_local import piece_measures
 from coverdp.operators.search import join_enumerate, list_occurrences
@@ -90,6 +90,26 @@ def coin_flip_tail(spark: SparkSession, flips: int = 64, trials: int = 2000, see
     return out.select("run", "share", F.least(F.lit(1.0), flips * F.pow(F.lit(2.0), -F.col("run"))).alias("bound")).withColumn("ok", F.col("share") <= F.col("bound"))
 
 
+def coloring_hits(g: TargetGraph, pattern: Pattern, reps: int = 64, seed: int = 1) -> DataFrame:
+    """hits, total, near: mappings of a disconnected pattern, each under `reps` colourings; a hit has every component in its own colour.
+
+    near: the share lies within five standard deviations of a reckoning that takes colourings, not mappings, as independent.
+    """
+    parts = len(pattern.components)
+    own = {v: i for i, part in enumerate(pattern.components) for v in part}
+    m = join_enumerate(g, pattern, images=False).withColumn("occ", F.monotonically_increasing_id())
+    places = materialise(m.select("occ", F.posexplode("mapping").alias("place", "id")))
+    colours = g.vertices.select("id", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
+    colours = colours.withColumn("colour", F.floor(uniform(seed, F.lit("colour"), "rep", "id") * parts).cast("int"))
+    want = F.element_at(F.array(*(F.lit(own[v]) for v in range(pattern.k))), F.col("place") + 1)
+    # a vertex of the wrong colour spoils the mapping; only right ones are counted together
+    right = places.join(colours, "id").where(F.col("colour") == want).groupBy("occ", "rep").count().where(F.col("count") == pattern.k)
+    total = places.select("occ").distinct().count() * reps
+    rate = parts ** -float(pattern.k)
+    slack = 5 * math.sqrt(rate / reps)
+    return right.agg(F.count("*").alias("hits")).select("hits", F.lit(total).cast("long").alias("total"), (F.abs(F.col("hits") / F.lit(max(1, total)) - rate) <= slack).alias("near"))
+
+
 def check_target(g: TargetGraph) -> DataFrame:
     """n, m, planar_possible: whether the edge count allows a planar graph."""
     n = g.vertices.agg(F.count("*").alias("n"))

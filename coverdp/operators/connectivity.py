@@ -16,7 +16,7 @@ from coverdp.operators.cover import PIECE, windows
 from coverdp.operators.embedding import embedding_from_xy, faces, vertex_face_graph
 from coverdp.operators.search import join_enumerate
 from coverdp.operators.treedec import adjacency, eliminate
-from coverdp.patterns import Pattern, beta_for, cycle
+from coverdp.patterns import Pattern, beta_for, cycle, repetitions
 from coverdp.runtime import is_empty, materialise
 
 #: Edges of a graph that every task gets whole, to test candidates against.
@@ -212,8 +212,12 @@ def separating_cover(g: TargetGraph, pattern: Pattern, marked: DataFrame, reps:
     return windows(cluster, pattern.diameter).groupBy(*PIECE).applyInArrow(run, "rep int, center long, start int, src long, dst long, src_allowed boolean, dst_allowed boolean, src_marked boolean, dst_marked boolean")
 
 
-def decide_separating(g: TargetGraph, pattern: Pattern, marked: DataFrame, reps: int = 4, seed: int = 1, contract_rest: bool = True, sides: tuple[str, ...] | None = None) -> bool:
-    """Whether some occurrence's removal leaves marked vertices in two components. sides: labels of the pattern's vertices."""
+def decide_separating(g: TargetGraph, pattern: Pattern, marked: DataFrame, reps: int | None = None, seed: int = 1, contract_rest: bool = True, sides: tuple[str, ...] | None = None) -> bool:
+    """Whether some occurrence's removal leaves marked vertices in two components. sides: labels of the pattern's vertices.
+
+    reps: None for as many as make a wrong no as likely as 1 / n at most.
+    """
+    reps = repetitions(g.vertices.count()) if reps is None else reps
     pieces = separating_cover(g, pattern, marked, reps, seed, contract_rest)
     full = (1 << pattern.k) - 1
     label = {} if sides is None else {r["id"]: r["label"] for r in g.vertices.select("id", "label").toLocalIterator()}
@@ -271,7 +275,7 @@ def vertex_connectivity(g: TargetGraph, method: str = "auto", seed: int = 1) ->
             return c
         sides = ("vertex", "face") * c
         by_program = method == "program" or method == "auto" and c == 2 and n <= 200
-        if decide_separating(vf, cycle(2 * c), marked, 4, seed, True, sides) if by_program else bool(enumerate_then_separate(vf, cycle(2 * c), marked, sides).take(1)):
+        if decide_separating(vf, cycle(2 * c), marked, None, seed, True, sides) if by_program else bool(enumerate_then_separate(vf, cycle(2 * c), marked, sides).take(1)):
             return c
     return 5
 
@@ -280,6 +284,27 @@ def is_c_connected(g: TargetGraph, c: int) -> bool:
     return vertex_connectivity(g) >= c
 
 
+def is_connected(g: TargetGraph) -> bool:
+    return connected_components(g).select("component").distinct().limit(2).count() <= 1
+
+
+def is_biconnected(g: TargetGraph, face: DataFrame | None = None) -> bool:
+    """Whether a plane graph of three vertices or more is connected and has no cut vertex."""
+    return g.vertices.limit(3).count() == 3 and is_connected(g) and is_empty(cut_vertices(g, face))
+
+
+def is_triconnected(g: TargetGraph, seed: int = 1) -> bool:
+    """Whether a plane graph of four vertices or more stays connected without any two vertices: no separating 4-cycle of the vertex-face graph."""
+    face = materialise(faces(embedding_from_xy(g)))
+    if g.vertices.limit(4).count() < 4 or not is_biconnected(g, face):
+        return False
+    if is_empty(g.degrees().where("degree < 3")):
+        vf = vertex_face_graph(g, face)
+        vf = TargetGraph(materialise(vf.vertices), vf.edges)
+        return is_empty(enumerate_then_separate(vf, cycle(4), vf.vertices.where("label = 'vertex'"), ("vertex", "face") * 2))
+    return False
+
+
 def minimum_vertex_cut(g: TargetGraph) -> list[int] | None:
     """The vertices of some least cut: of a shortest separating cycle's vertices those that aren't faces; None where there is none."""
     face = materialise(faces(embedding_from_xy(g)))

@@ -176,11 +176,9 @@ def reach(dag: DataFrame, mode: str = "forest", counter: list | None = None) ->
 
 
 def number_pieces(piece_edges: DataFrame) -> DataFrame:
-    """piece_edges with piece_no, the rank of the piece by its key."""
-    from pyspark.sql import Window as W
-
-    keys = piece_edges.select(*PIECE).distinct()
-    return piece_edges.select(*PIECE, "src", "dst").join(keys.withColumn("piece_no", F.row_number().over(W.orderBy(*PIECE)).cast("long")), PIECE)
+    """piece_edges with piece_no, a number of the piece: partition and place in it, written once so that retried tasks see the same."""
+    keys = materialise(piece_edges.select(*PIECE).distinct().withColumn("piece_no", F.monotonically_increasing_id()))
+    return piece_edges.select(*PIECE, "src", "dst").join(keys, PIECE)
 
 
 def solve_window_parallel(piece_edges: DataFrame, pattern: Pattern, mode: str = "forest", counter: list | None = None) -> DataFrame:

@@ -15,6 +15,9 @@ from coverdp.patterns import Pattern, beta_for, repetitions
 from coverdp.runtime import is_empty, materialise
 
 
+FAMILIES = ("planar", "bounded_genus", "apex_minor_free")
+
+
 def _pieces(g: TargetGraph, pattern: Pattern, reps: int, seed: int, window: str, beta: float | None, first_rep: int) -> tuple[DataFrame, bool]:
     """The windows of a batch of repetitions, cut down to vertices that some pattern vertex may be mapped to."""
     d = pattern.k - 1 if window == "safe" else pattern.diameter
@@ -52,8 +55,14 @@ def find(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int =
 def decide(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", family: str = "planar") -> DataFrame:
     """found, reps, n: whether the pattern occurs. A yes is certain; a no is wrong with probability n ** -confidence at most.
 
-    family "apex_minor_free" runs the same cover: elimination decompositions don't need an embedding.
+    family says what the windows' widths rest on. "planar": graphs with more edges than a planar one can have are refused
+    (ValueError); "bounded_genus", "apex_minor_free": the same cover without that bound, as
+    elimination decompositions don't need an embedding.
     """
+    if family not in FAMILIES:
+        raise ValueError(f"family is one of {', '.join(FAMILIES)}")
+    if family == "planar" and (n := _size(g)) > 2 and g.edges.count() > 3 * n - 6:
+        raise ValueError("too many edges for a planar graph; widths of windows aren't bounded by their levels")
     mapping, reps = find(g, pattern, confidence, seed, window)
     return g.spark.createDataFrame([(mapping is not None, reps, _size(g))], "found boolean, reps int, n long")
 

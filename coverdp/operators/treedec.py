@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coverdp.operators.cover import PIECE
+from coverdp.runtime import materialise
 
 BAGS = "rep int, center long, start int, node int, parent int, bag array<long>"
 
@@ -71,9 +72,12 @@ def by_piece(table: pa.Table, keys: list[str] = PIECE):
 
 
 def packed(pieces: DataFrame, rows_each: int = 20_000) -> DataFrame:
-    """Pieces with a bucket that several small ones share: as many tasks as the rows need, not one a piece."""
-    n = pieces.sparkSession.sparkContext.defaultParallelism
-    buckets = max(4 * n, int(pieces.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    """Pieces with a bucket that several small ones share: about rows_each rows a bucket, and not fewer buckets than keep all cores busy.
+
+    The pieces are written once and counted, so a bucket doesn't grow with the graph; a piece is never split.
+    """
+    pieces = materialise(pieces)
+    buckets = max(4 * pieces.sparkSession.sparkContext.defaultParallelism, -(-pieces.count() // rows_each))
     return pieces.withColumn("bucket", F.pmod(F.xxhash64(*PIECE), F.lit(buckets)).cast("int"))
 
 

@@ -25,6 +25,10 @@ e AS (SELECT k AS src, k + 1 AS dst FROM o, c WHERE k % w < w - 1 AND k + 1 < n
 r AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e)"""
 
 
+#: Points that the theta join broadcasts.
+THETA_POINTS = 20_000
+
+
 def query(name: str, sql: str | None = None):
     def put(f):
         QUERIES[f"op_{name}"] = f
@@ -377,3 +381,18 @@ def _(s, d):
     return udfs.find_pattern(s, "coverdp_edges", "a-b, b-c").agg(F.count("*").alias("wedges"))
 
 
+@query(
+    "join_theta_gabriel",
+    """WITH p AS (SELECT vec_id AS id, CAST(embedding[1] AS DOUBLE) AS x, CAST(embedding[2] AS DOUBLE) AS y FROM embeddings)
+    SELECT a.id AS src, b.id AS dst FROM p a JOIN p b ON a.id < b.id WHERE NOT EXISTS (SELECT 1 FROM p r WHERE r.id <> a.id AND r.id <> b.id AND (r.x - a.x) * (r.x - b.x) + (r.y - a.y) * (r.y - b.y) < 0)""",
+)
+def _(s, d):
+    """Pairs in whose disc no third point lies: a theta join and an anti-join without an equality. Their sides are points, few by a check."""
+    p = table(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.get("embedding", F.lit(0)).cast("double").alias("x"), F.get("embedding", F.lit(1)).cast("double").alias("y"))
+    if p.count() > THETA_POINTS:
+        raise ValueError(f"more than {THETA_POINTS} points: see the proximity graphs in coverdp.sources.graphs")
+    a, b, r = (p.select(*(F.col(c).alias(f"{n}_{c}") for c in ("id", "x", "y"))) for n in "abr")
+    pairs = a.join(F.broadcast(b), F.col("a_id") < F.col("b_id"))
+    dot = sum(((F.col(f"r_{c}") - F.col(f"a_{c}")) * (F.col(f"r_{c}") - F.col(f"b_{c}")) for c in ("x", "y")), F.lit(0.0))
+    free = pairs.join(F.broadcast(r), (F.col("r_id") != F.col("a_id")) & (F.col("r_id") != F.col("b_id")) & (dot < 0), "left_anti")
+    return free.select(F.col("a_id").alias("src"), F.col("b_id").alias("dst"))

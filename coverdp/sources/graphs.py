@@ -45,12 +45,18 @@ def event_chain_edges(events: DataFrame) -> DataFrame:
 
 
 def event_fan_graph(spark: SparkSession, d: str) -> TargetGraph:
-    """A hub for each user with spokes to its events, the events in a path by time, the hubs chained."""
+    """A hub for each user with spokes to its events, the events in a path by time, the hubs chained.
+
+    Drawn in the plane: hubs on a line by user, each user's events in order on a line above, within half a unit.
+    """
     events = table(spark, d, "events")
     users = events.select("user_id").distinct()
     spokes = events.select(*_pair("event_id", _kind(1, "user_id")))
     hubs = users.join(users.select((F.col("user_id") - 1).alias("user_id")), "user_id", "left_semi").select(*_pair(_kind(1, "user_id"), F.lit(KIND + 1) + F.col("user_id")))
-    v = events.select(F.col("event_id").alias("id"), F.col("event_type").alias("label")).union(users.select(_kind(1, "user_id"), F.lit("user")))
+    own = W.partitionBy("user_id")
+    share = (F.row_number().over(own.orderBy("ts", "event_id")) - 0.5) / F.count("*").over(own)
+    v = events.select(F.col("event_id").alias("id"), F.col("event_type").alias("label"), (F.col("user_id") - 0.5 + share).alias("x"), F.lit(1.0).alias("y"))
+    v = v.union(users.select(_kind(1, "user_id"), F.lit("user"), F.col("user_id").cast("double"), F.lit(0.0)))
     return target_graph(v, spokes.union(event_chain_edges(events)).union(hubs))
 
 
