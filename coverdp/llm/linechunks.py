@@ -12,6 +12,9 @@ from pyspark.sql import functions as F
 from coverdp.llm.textkit import WHITE, col, slices, span_hashes, text_bytes
 from coverdp.runtime import materialise
 
+#: At most so many groups are sent to all tasks, some hundreds of kilobytes.
+HOT = 4096
+
 
 def _windows(data: np.ndarray, offs: np.ndarray):
     """(first byte, end, end without line break, first line, last line, text) of each two neighbouring lines of a text.
@@ -71,22 +74,33 @@ def _cut(name: str):
     return run
 
 
+def _members(chunks: DataFrame, groups: DataFrame) -> DataFrame:
+    """Each window of a group with its group. Groups with at least one in HOT of all windows meet theirs by broadcast.
+
+    There are at most HOT such groups whatever the corpus, so a window that a third of all documents hold isn't dealt to one task.
+    """
+    common = F.col("copies") * HOT >= chunks.count()
+    hot = F.broadcast(groups.where(common))
+    rest = chunks.join(hot, ["h1", "h2"], "left_anti").join(groups.where(~common), ["h1", "h2"])
+    return chunks.join(hot, ["h1", "h2"]).unionByName(rest)
+
+
 def repeated_chunks(docs: DataFrame) -> DataFrame:
     """(doc_id, removed_spans, n_chunks, n_removed_lines): the later copies of repeated runs of two lines or more.
 
     A run repeats where all its windows of two lines do, so every window is looked up (n_chunks of them) and the lines
     of those with an earlier copy by (doc_id, place) go; a copy that overlaps the first one stays. So the first place of
     each line stays. Copies are grouped by a 128-bit hash, then the least and the greatest bytes of each group are
-    compared; only groups where they agree lose rows. Texts without two lines have no window.
+    compared; groups where they differ lose nothing. Texts without two lines have no window.
     """
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("text is not null and doc_id is not null")
     chunks = materialise(src.mapInArrow(_table, "doc_id long, at long, stop long, line long, last long, h1 long, h2 long"))
-    groups = chunks.groupBy("h1", "h2").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "at", "stop")).alias("first")).where("copies > 1")
-    members = materialise(chunks.join(groups, ["h1", "h2"]))
+    groups = materialise(chunks.groupBy("h1", "h2").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "at", "stop")).alias("first")).where("copies > 1"))
+    members = materialise(_members(chunks, groups))
     wanted = members.groupBy("doc_id").agg(F.collect_list(F.struct("at", "stop", "h1", "h2")).alias("spans"))
     raw = src.join(wanted, "doc_id").select("text", "spans").mapInArrow(_bytes, "h1 long, h2 long, raw binary")
-    equal = raw.groupBy("h1", "h2").agg((F.min("raw") == F.max("raw")).alias("equal")).where("equal").select("h1", "h2")
-    gone = members.where("doc_id <> first.doc_id or at >= first.stop").join(equal, ["h1", "h2"])
+    unlike = materialise(raw.groupBy("h1", "h2").agg((F.min("raw") < F.max("raw")).alias("unlike")).where("unlike").select("h1", "h2"))
+    gone = members.where("doc_id <> first.doc_id or at >= first.stop").join(unlike, ["h1", "h2"], "left_anti")
     gone = gone.groupBy("doc_id").agg(F.collect_set(F.struct("at", "stop")).alias("removed_spans"), F.size(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last"))))).cast("long").alias("n_removed_lines"))
     return chunks.groupBy("doc_id").agg(F.count("*").alias("n_chunks")).join(gone, "doc_id", "left")
 
