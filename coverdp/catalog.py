@@ -300,6 +300,25 @@ def _sequential(s, d):
     return columns(baselines.sequential_list(fixed(G.event_fan_graph(s, d)), P.TRIANGLE, KIND), 3)
 
 
+@query("ball_baseline_c4_gabriel", pattern_sql(E_GABRIEL, P.cycle(4)))
+def _balls_solved(s, d):
+    return columns(baselines.ball_list(fixed(G.embedding_gabriel_graph(s, d)), P.cycle(4)), 4)
+
+
+@query("recovered_cells_lattice", pattern_sql(E_LATTICE, P.TRIANGLE, select="count(*) AS images, count(*) * 3 AS cells"))
+def _recovered(s, d):
+    return ms.recovered_cells(search.list_occurrences(fixed(G.order_lattice_graph(s, d)), P.TRIANGLE))
+
+
+@query("least_degrees", " UNION ALL ".join(f"SELECT * FROM (WITH {GRAPHS[name][1]}, q AS (SELECT count(*) AS n FROM (SELECT src AS id FROM e UNION ALL SELECT dst FROM e) GROUP BY id) SELECT '{name}' AS graph, min(n) AS least, min(n) <= 5 AS planar_possible FROM q)" for name in ("lattice", "gabriel", "rng", "fan", "torus")))
+def _least_degrees(s, d):
+    out = None
+    for name in ("lattice", "gabriel", "rng", "fan", "torus"):
+        row = ms.least_degree(GRAPHS[name][0](s, d)).select(F.lit(name).alias("graph"), "least", "planar_possible")
+        out = row if out is None else out.union(row)
+    return out
+
+
 @query("color_coding_triangle_gabriel", "SELECT TRUE AS found")
 def _color_coding(s, d):
     return baselines.color_coding_decide(fixed(G.embedding_gabriel_graph(s, d)), P.TRIANGLE).select("found")
@@ -471,7 +490,7 @@ def _separating(s, d):
     for name, hubs in (("wheel", 1), ("bipyramid", 2)):
         g = fixed(G.nation_ring(s, d, hubs))
         marked = g.vertices.select("id")
-        row = one(s, graph=name, program=connectivity.decide_separating(g, P.cycle(4), marked), enumerated=not is_empty(connectivity.enumerate_then_separate(g, P.cycle(4), marked)))
+        row = one(s, graph=name, program=connectivity.decide_separating_cycle(g, 4, marked), enumerated=not is_empty(connectivity.enumerate_then_separate(g, P.cycle(4), marked)))
         out = row if out is None else out.union(row)
     return out
 

@@ -110,6 +110,18 @@ def coloring_hits(g: TargetGraph, pattern: Pattern, reps: int = 64, seed: int =
     return right.agg(F.count("*").alias("hits")).select("hits", F.lit(total).cast("long").alias("total"), (F.abs(F.col("hits") / F.lit(max(1, total)) - rate) <= slack).alias("near"))
 
 
+def least_degree(g: TargetGraph) -> DataFrame:
+    """least, planar_possible: the least degree, isolated vertices included; a planar graph has a vertex of degree five or less."""
+    arcs = g.edges.select(F.col("src").alias("id")).union(g.edges.select(F.col("dst").alias("id")))
+    degree = arcs.withColumn("one", F.lit(1)).union(g.vertices.select("id", F.lit(0))).groupBy("id").agg(F.sum("one").alias("degree"))
+    return degree.agg(F.min("degree").alias("least")).withColumn("planar_possible", F.col("least") <= 5)
+
+
+def recovered_cells(occurrences: DataFrame) -> DataFrame:
+    """images, cells of listed occurrences(mapping): the size of an output, which any listing has to write."""
+    return occurrences.agg(F.count("*").alias("images"), F.coalesce(F.sum(F.size("mapping")), F.lit(0)).cast("long").alias("cells"))
+
+
 def check_target(g: TargetGraph) -> DataFrame:
     """n, m, planar_possible: whether the edge count allows a planar graph."""
     n = g.vertices.agg(F.count("*").alias("n"))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from coverdp.model import TargetGraph
 from coverdp.operators.clustering import uniform
-from coverdp.operators.cover import single_bfs_cover
+from coverdp.operators.cover import ball_cover, single_bfs_cover
 from coverdp.operators.dp_local import solve_pieces
 from coverdp.patterns import Pattern
 from coverdp.runtime import is_empty, materialise
@@ -50,6 +50,14 @@ def sequential_list(g: TargetGraph, pattern: Pattern, root: int) -> DataFrame:
     return solve_pieces(pieces, pattern, "list", images=True, engine="cells").select(least_image(F.col("mapping"), pattern).alias("mapping")).distinct()
 
 
+def ball_list(g: TargetGraph, pattern: Pattern) -> DataFrame:
+    """mapping of every image of a connected pattern: the ball around each vertex as a piece, each solved; exact, with quadratic total size at worst."""
+    from coverdp.operators.search import least_image
+
+    _, pieces = ball_cover(g, pattern.diameter)
+    return solve_pieces(materialise(pieces), pattern, "list", images=True, engine="cells").select(least_image(F.col("mapping"), pattern).alias("mapping")).distinct()
+
+
 def bounds_table(spark: SparkSession, ks: tuple[int, ...] = (3, 4, 6), ns: tuple[int, ...] = (1500, 15000, 150000)) -> DataFrame:
     """method, k, n, log2_work, log2_depth: the stated bounds with hidden constants 1."""
     grid = spark.createDataFrame([(k, n) for k in ks for n in ns], "k int, n long").withColumns({"lk": F.log2(3 * F.col("k") + 1), "ln": F.log2("n"), "lln": F.log2(F.log2("n")), "kk": F.log2("k")})

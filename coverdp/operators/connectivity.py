@@ -233,6 +233,11 @@ def decide_separating(g: TargetGraph, pattern: Pattern, marked: DataFrame, reps:
     return bool(pieces.groupBy(*PIECE).applyInArrow(run, "found boolean").where("found").take(1))
 
 
+def decide_separating_cycle(g: TargetGraph, length: int, marked: DataFrame, **options) -> bool:
+    """Whether some cycle of `length` vertices separates the marked ones; options as of decide_separating."""
+    return decide_separating(g, cycle(length), marked, **options)
+
+
 def enumerate_then_separate(g: TargetGraph, pattern: Pattern, marked: DataFrame, labels: tuple[str, ...] | None = None) -> DataFrame:
     """Baseline: mapping of every occurrence whose removal separates the marked vertices; each is tested on its own."""
     if g.edges.limit(MOST_EDGES + 1).count() > MOST_EDGES:
