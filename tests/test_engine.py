@@ -152,3 +152,18 @@ def test_layer_numbers_agree(spark):
     assert a == b and len(a) == 25
     top = max(x for _, x in a)
     assert 2**top <= 25
+
+
+def test_ball_baseline_and_output_measures(spark):
+    from coverdp import measures
+    from coverdp.operators import baselines
+
+    edges = lattice(5, 4, 3)
+    g = target_graph(None, spark.createDataFrame(edges, "src long, dst long"))
+    adj = treedec.adjacency(*zip(*edges, strict=True))
+    want = {tuple(sorted(m)) for m in brute(adj, P.TRIANGLE)}
+    got = baselines.ball_list(g, P.TRIANGLE)
+    assert sorted(tuple(sorted(r["mapping"])) for r in got.collect()) == sorted(want)
+    assert measures.recovered_cells(got).first().asDict() == {"images": len(want), "cells": 3 * len(want)}
+    assert measures.least_degree(g).first().asDict() == {"least": min(len(x) for x in adj.values()), "planar_possible": True}
+    assert measures.recovered_cells(got.where("false")).first().asDict() == {"images": 0, "cells": 0}
