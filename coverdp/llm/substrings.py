@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coverdp.llm.textkit import BYTE_CODE, U, col, mix, powers, slices, span_hashes, text_bytes
-from coverdp.runtime import materialise
+from coverdp.runtime import materialise, release, tidy
 
 GRAM = 20
 MULTI = np.int64(-1)
@@ -443,14 +443,18 @@ def repeated_spans(docs: DataFrame, length: int = 50, hot_parts: int = HOT_PARTS
     longest = length - GRAM + 1
     sent = src.mapInArrow(_grams(buckets, length), "bucket int, known boolean, keys binary, docs binary")
     shared = materialise(sent.groupBy("bucket").applyInArrow(_shared(hot_parts), "doc_id long, key long"))
+    tidy(shared)
     hot = materialise(shared.where("doc_id is null").select("key", F.lit(True).alias("is_hot")))
     marked = shared.where("doc_id is not null").join(hot, "key", "left")
     answers = marked.groupBy("doc_id").agg(F.collect_list("key").alias("keys"), F.collect_list(F.when(F.col("is_hot"), F.col("key"))).alias("hot"))
     pressed = src.mapInArrow(_squeeze, "doc_id long, z binary")
     runs = materialise(pressed.join(answers, "doc_id").select("doc_id", "z", "keys", "hot").mapInArrow(_runs(buckets, length, longest), "bucket int, docs binary, at binary, sizes binary, raw binary"))
+    release(shared, hot)
     solved = runs.where("bucket >= 0").groupBy("bucket").applyInArrow(_resolve(length), "doc_id long, at long, stop long")
     spans = solved.union(runs.where("bucket < 0").mapInArrow(_known, "doc_id long, at long, stop long"))
-    return spans.groupBy("doc_id").agg(F.collect_set(F.struct("at", "stop")).alias("spans"))
+    out = materialise(spans.groupBy("doc_id").agg(F.collect_set(F.struct("at", "stop")).alias("spans")))
+    release(runs)
+    return out
 
 
 def joined(spans: list[dict]) -> list[tuple[int, int]]:
@@ -470,7 +474,7 @@ def remove_repeats(docs: DataFrame, length: int = 50, hot_parts: int = HOT_PARTS
     What is kept is bytes: a span may begin or end within a character. Repeats within a document alone stay. Rows
     that repeat a doc_id are one document: the spans of each are cut from all of them, as far as a text reaches.
     """
-    spans = materialise(repeated_spans(docs, length, hot_parts))
+    spans = repeated_spans(docs, length, hot_parts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_ = zstandard.ZstdDecompressor()
