@@ -65,6 +65,7 @@ E_CONVERSATION = f"""t AS (SELECT conv_id * 64 + turn AS id, conv_id, turn, role
 e AS (SELECT a.id AS src, b.id AS dst FROM t a JOIN t b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1 UNION ALL SELECT DISTINCT id, hub FROM t)"""
 E_ORDER_PART = f"e AS (SELECT DISTINCT {KIND} + l_orderkey AS src, {2 * KIND} + l_partkey AS dst FROM lineitem)"
 E_RING = "z AS (SELECT count(*) AS n FROM nation), e AS (SELECT least(n_nationkey, (n_nationkey + 1) % n) AS src, greatest(n_nationkey, (n_nationkey + 1) % n) AS dst FROM nation, z)"
+E_WHEEL = E_RING.replace("e AS (", "rim AS (") + f", e AS (SELECT src, dst FROM rim UNION ALL SELECT n_nationkey, {KIND} FROM nation)"
 E_TORUS = """c AS (SELECT CAST(floor(sqrt(count(*))) AS BIGINT) AS w, count(*) // CAST(floor(sqrt(count(*))) AS BIGINT) AS h FROM orders), o AS (SELECT o_orderkey AS k, w, h FROM orders, c WHERE o_orderkey < w * h),
 x AS (SELECT k AS a, CASE WHEN k % w = w - 1 THEN k - (w - 1) ELSE k + 1 END AS b FROM o UNION ALL SELECT k, (k + w) % (w * h) FROM o), e AS (SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS dst FROM x WHERE a <> b)"""
 GRAPHS = {
@@ -140,6 +141,7 @@ _decide("decide_c4_conversation", "conversation", P.cycle(4))
 _decide("torus_c4", "torus", P.cycle(4), family="bounded_genus")
 _decide("decide_bowtie_lattice", "lattice", P.BOWTIE)
 _decide("decide_wheel4_gabriel", "gabriel", P.wheel(4))
+_decide("decide_triangle_gabriel_layers", "gabriel", P.TRIANGLE, engine="layers")
 
 
 @query("count_c4_lattice", pattern_sql(E_LATTICE, P.cycle(4), select="count(*) AS images, count(*) * 8 AS mappings"))
@@ -403,14 +405,42 @@ def _forest(s, d):
     return dp_dist.lift_forest(dag).groupBy("node").count().where("count > 1").agg(F.count("*").alias("branching"))
 
 
+@query("shortcut_counts", "SELECT * FROM (VALUES ('all', TRUE, TRUE), ('forest', TRUE, TRUE), ('none', TRUE, TRUE)) t(mode, jumps_bounded, rounds_bounded)")
+def _shortcut_counts(s, d):
+    # paths of the lowest layer of the proximity graph's windows: jumps against the matches, rounds against those without jumps
+    n = materialise(dp_dist.number_pieces(_gabriel_windows(s, d)[1]))
+    dag = materialise(dp_dist.match_dag(n, s.createDataFrame([], "piece_no long, id long"), P.TRIANGLE, 0))
+    size = dag.select(F.explode(F.array("src", "dst")).alias("id")).where("id is not null").distinct().count()
+    seen: list[tuple[str, int, int]] = []
+    for mode in ("none", "all", "forest"):
+        dp_dist.reach(dag, mode, seen)
+    most = {"none": 0, "all": size * math.ceil(math.log2(max(2, size))), "forest": 2 * size}
+    return s.createDataFrame([(m, jumps <= most[m], rounds <= seen[0][1]) for m, rounds, jumps in seen], "mode string, jumps_bounded boolean, rounds_bounded boolean")
+
+
 @query("sequential_equals_parallel", "SELECT TRUE AS same")
 def _parallel(s, d):
     _, e = _ring_windows(s, d)
+    return _same_windows(s, e)
+
+
+def _same_windows(s: SparkSession, e: DataFrame) -> DataFrame:
     par = materialise(dp_dist.solve_window_parallel(e, P.TRIANGLE).select(*cover.PIECE, "found"))
     seq = dp_local.piece_measures(e, P.TRIANGLE).select(*cover.PIECE, (F.col("found") > 0).alias("found"))
     return one(s, same=baselines.windows_agree(par, seq) and not is_empty(par))
 
 
+@query("sequential_equals_parallel_gabriel", "SELECT TRUE AS same")
+def _parallel_gabriel(s, d):
+    # every window of the proximity graph, whether it holds a triangle or not
+    return _same_windows(s, _gabriel_windows(s, d)[1])
+
+
+@query("list_triangles_nation_layers", pattern_sql(E_WHEEL, P.TRIANGLE))
+def _list_layers(s, d):
+    return columns(search.list_occurrences(fixed(G.nation_ring(s, d, 1)), P.TRIANGLE, engine="layers"), 3)
+
+
 # embeddings and connectivity
 @query("vertex_face_graph_lattice", f"WITH {E_LATTICE} SELECT (SELECT n FROM c) AS n, count(*) AS m, count(*) - (SELECT n FROM c) + 2 AS f FROM e")
 def _euler(s, d):

@@ -16,8 +16,9 @@ from coverdp.operators.treedec import adjacency, eliminate
 from coverdp.patterns import Pattern
 from coverdp.runtime import is_empty, materialise
 
-#: Ids of partial matches: piece number, node and rank of the state.
+#: Ids of partial matches: piece number, node and rank of the state, in 63 bits.
 NODE, RANK = 1 << 16, 1 << 20
+MOST_PIECES = 1 << 27
 
 
 def enumerate_matches(bag: list[int], pattern: Pattern, adj: dict[int, set[int]], below: bool = True) -> list[State]:
@@ -45,6 +46,8 @@ class Window:
         self.adj = adjacency(src, dst)
         self.order = eliminate(self.adj)
         n = len(self.order)
+        if n > NODE:
+            raise ValueError(f"a window of {n} vertices; ids of matches take {NODE} at most")
         self.kids: list[list[int]] = [[] for _ in range(n)]
         self.layer = [0] * n
         for i, (_, _, up) in enumerate(self.order):
@@ -102,6 +105,8 @@ def match_dag(numbered: DataFrame, valid: DataFrame, pattern: Pattern, layer: in
             def states(i: int) -> list[State]:
                 if i not in every:
                     every[i] = enumerate_matches(w.bag(i), pattern, w.adj)
+                    if len(every[i]) > RANK:
+                        raise ValueError(f"{len(every[i])} partial matches of a bag; ids of matches take {RANK} at most")
                 return every[i]
 
             code = lambda i, s: (no * NODE + i) * RANK + states(i).index(s)
@@ -176,9 +181,23 @@ def reach(dag: DataFrame, mode: str = "forest", counter: list | None = None) ->
 
 
 def number_pieces(piece_edges: DataFrame) -> DataFrame:
-    """piece_edges with piece_no, a number of the piece: partition and place in it, written once so that retried tasks see the same."""
-    keys = materialise(piece_edges.select(*PIECE).distinct().withColumn("piece_no", F.monotonically_increasing_id()))
-    return piece_edges.select(*PIECE, "src", "dst").join(keys, PIECE)
+    """piece_edges with piece_no, numbers from 0 without gaps: place within a partition, after the partitions before.
+
+    The keys are written once, so that retried tasks see the same; only a count a partition goes to the driver.
+    """
+    spark = piece_edges.sparkSession
+    keys = materialise(piece_edges.select(*PIECE).distinct().withColumn("raw", F.monotonically_increasing_id()))
+    part = F.shiftright("raw", 33)
+    first, begin = 0, []
+    for r in keys.groupBy(part.alias("part")).count().orderBy("part").collect():
+        begin.append((r["part"], first))
+        first += r["count"]
+    if first > MOST_PIECES:
+        raise ValueError(f"{first} pieces; ids of matches take {MOST_PIECES} at a time")
+    offsets = spark.createDataFrame(begin, "part long, begin long")
+    numbered = keys.withColumn("part", part).join(F.broadcast(offsets), "part")  # a row a partition
+    numbered = numbered.select(*PIECE, (F.col("begin") + F.col("raw").bitwiseAND((1 << 33) - 1)).alias("piece_no"))
+    return piece_edges.select(*PIECE, "src", "dst").join(numbered, PIECE)
 
 
 def solve_window_parallel(piece_edges: DataFrame, pattern: Pattern, mode: str = "forest", counter: list | None = None) -> DataFrame:
@@ -194,7 +213,7 @@ def solve_window_parallel(piece_edges: DataFrame, pattern: Pattern, mode: str =
     valid = spark.createDataFrame([], "piece_no long, id long")
     for layer in range((top if top is not None else -1) + 1):
         dag = materialise(match_dag(numbered, valid, pattern, layer))
-        got = reach(dag, mode, counter).select(F.floor(F.col("id") / (NODE * RANK)).alias("piece_no"), "id")
+        got = reach(dag, mode, counter).select(F.shiftright("id", (NODE * RANK).bit_length() - 1).alias("piece_no"), "id")
         valid = materialise(valid.union(got))
 
     def accept(edges: pa.Table, ids: pa.Table) -> pa.Table:

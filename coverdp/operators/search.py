@@ -9,13 +9,15 @@ from pyspark.sql import functions as F
 
 from coverdp.model import TargetGraph
 from coverdp.operators.clustering import exponential_shift_clustering
-from coverdp.operators.cover import window_edges
+from coverdp.operators.cover import PIECE, window_edges
+from coverdp.operators.dp_dist import solve_window_parallel
 from coverdp.operators.dp_local import label_masks, solve_pieces
 from coverdp.patterns import Pattern, beta_for, repetitions
 from coverdp.runtime import is_empty, materialise
 
 
 FAMILIES = ("planar", "bounded_genus", "apex_minor_free")
+ENGINES = ("batch", "layers")
 
 
 def _pieces(g: TargetGraph, pattern: Pattern, reps: int, seed: int, window: str, beta: float | None, first_rep: int) -> tuple[DataFrame, bool]:
@@ -32,19 +34,34 @@ def _pieces(g: TargetGraph, pattern: Pattern, reps: int, seed: int, window: str,
     return window_edges(g, cluster, d, *(["mask"] if masks else [])), masks
 
 
+def _accepted(pieces: DataFrame, pattern: Pattern, engine: str) -> DataFrame:
+    """The pieces to expand. "batch": all; "layers": those that the layer-by-layer program with shortcuts accepts, so that only windows with an occurrence are walked again."""
+    if engine not in ENGINES:
+        raise ValueError(f"engine is one of {', '.join(ENGINES)}")
+    if engine == "batch":
+        return pieces
+    if pattern.labels is not None:
+        raise ValueError("the layers engine takes patterns without labels")
+    pieces = materialise(pieces)
+    return pieces.join(solve_window_parallel(pieces, pattern).where("found").select(*PIECE), PIECE, "left_semi")
+
+
 def _size(g: TargetGraph) -> int:
     return g.vertices.count()
 
 
-def find(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", beta: float | None = None) -> tuple[list[int] | None, int]:
-    """(one mapping or None, repetitions used): batches of 1, 2, 4, ... repetitions until one holds an occurrence or absence is certain enough."""
+def find(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", beta: float | None = None, engine: str = "batch") -> tuple[list[int] | None, int]:
+    """(one mapping or None, repetitions used): batches of 1, 2, 4, ... repetitions until one holds an occurrence or absence is certain enough.
+
+    engine: how windows are decided, "batch" (within tasks) or "layers" (partial matches as a graph, over all windows).
+    """
     if not pattern.connected:
         raise ValueError("a disconnected pattern: see coverdp.operators.disconnected")
     most, done, batch = repetitions(_size(g), confidence), 0, 1
     while done < most:
         batch = min(batch, most - done)
         pieces, masks = _pieces(g, pattern, batch, seed, window, beta, done)
-        hit = solve_pieces(pieces, pattern, "find", masks=masks, images=True).orderBy("rep", "mapping").take(1)
+        hit = solve_pieces(_accepted(pieces, pattern, engine), pattern, "find", masks=masks, images=True).orderBy("rep", "mapping").take(1)
         done += batch
         if hit:
             return hit[0]["mapping"], done
@@ -52,7 +69,7 @@ def find(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int =
     return None, done
 
 
-def decide(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", family: str = "planar") -> DataFrame:
+def decide(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", family: str = "planar", engine: str = "batch") -> DataFrame:
     """found, reps, n: whether the pattern occurs. A yes is certain; a no is wrong with probability n ** -confidence at most.
 
     family says what the windows' widths rest on. "planar": graphs with more edges than a planar one can have are refused
@@ -63,7 +80,7 @@ def decide(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int
         raise ValueError(f"family is one of {', '.join(FAMILIES)}")
     if family == "planar" and (n := _size(g)) > 2 and g.edges.count() > 3 * n - 6:
         raise ValueError("too many edges for a planar graph; widths of windows aren't bounded by their levels")
-    mapping, reps = find(g, pattern, confidence, seed, window)
+    mapping, reps = find(g, pattern, confidence, seed, window, engine=engine)
     return g.spark.createDataFrame([(mapping is not None, reps, _size(g))], "found boolean, reps int, n long")
 
 
@@ -72,7 +89,7 @@ def should_stop(done: int, quiet: int, n: int, c: float = 1.0) -> bool:
     return quiet >= math.log2(max(done, 1)) + c * math.log2(max(n, 2))
 
 
-def list_occurrences(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", images: bool = True, batch: int | None = None, most: int = 4096, induced: bool = False, progress: list | None = None) -> DataFrame:
+def list_occurrences(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, window: str = "diameter", images: bool = True, batch: int | None = None, most: int = 4096, induced: bool = False, progress: list | None = None, engine: str = "batch") -> DataFrame:
     """mapping of every occurrence, each once, with high probability; images: one mapping of each class under automorphisms, its least.
 
     Repetitions run in batches. Each batch gives, per occurrence, the first repetition that shows it; the stop rule is
@@ -86,7 +103,7 @@ def list_occurrences(g: TargetGraph, pattern: Pattern, confidence: float = 1.0,
     done = quiet = 0
     while done < most:
         pieces, masks = _pieces(g, pattern, batch, seed, window, None, done)
-        got = solve_pieces(pieces, pattern, "list", masks=masks, induced=induced, images=images)
+        got = solve_pieces(_accepted(pieces, pattern, engine), pattern, "list", masks=masks, induced=induced, images=images)
         if images:
             got = got.withColumn("mapping", least_image(F.col("mapping"), pattern))
         fresh = got.groupBy("mapping").agg(F.min("rep").alias("rep"))

@@ -4,11 +4,12 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from coverdp import patterns as P
 from coverdp.model import target_graph
 from coverdp.operators import connectivity as C
-from coverdp.operators import cover, dp_batch, dp_local, paths, search, treedec
+from coverdp.operators import cover, dp_batch, dp_dist, dp_local, paths, search, treedec
 from coverdp.operators.clustering import UNIT, exponential_shift_clustering
 from coverdp.operators.disconnected import split_exhaustive
 
@@ -167,3 +168,23 @@ def test_ball_baseline_and_output_measures(spark):
     assert measures.recovered_cells(got).first().asDict() == {"images": len(want), "cells": 3 * len(want)}
     assert measures.least_degree(g).first().asDict() == {"least": min(len(x) for x in adj.values()), "planar_possible": True}
     assert measures.recovered_cells(got.where("false")).first().asDict() == {"images": 0, "cells": 0}
+
+
+def test_layers_engine(spark):
+    """Two triangles joined by a long path."""
+    edges = [(0, 1), (1, 2), (0, 2), *((i, i + 1) for i in range(2, 9)), (9, 10), (10, 11), (9, 11)]
+    g = target_graph(spark.range(12), spark.createDataFrame(edges, "src long, dst long"))
+    assert sorted(sorted(r["mapping"]) for r in search.list_occurrences(g, P.TRIANGLE, engine="layers", batch=3).collect()) == [[0, 1, 2], [9, 10, 11]]
+    with pytest.raises(ValueError):
+        search.decide(g, P.TRIANGLE, engine="other")
+
+
+def test_numbers_of_pieces_have_no_gaps(spark):
+    """Keys of several partitions, as ids of matches have room for 2**27 pieces only."""
+    pieces = spark.range(500).select(F.lit(0).alias("rep"), F.col("id").alias("center"), F.lit(0).alias("start"), F.col("id").alias("src"), (F.col("id") + 1).alias("dst"))
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        got = [r["piece_no"] for r in dp_dist.number_pieces(pieces).collect()]
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert sorted(got) == list(range(500))
