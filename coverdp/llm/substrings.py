@@ -5,8 +5,8 @@ each bucket holds runs of windows. Three steps:
 
 1. every document's least grams go, as compact sorted hashes, to their bucket, which answers with those that two
    documents or more have; what a batch already knows to be shared is answered at once and sent on as one entry;
-2. only runs of windows around shared grams travel as bytes, equal runs of a part once. In a bucket, each arriving part
-   is a shard with its own Burrows-Wheeler transform; the transforms are merged by refining the interleave one symbol a
+2. only runs of windows around shared grams travel as bytes, equal runs of a part once. In a bucket, arriving parts
+   make shards, each with its own Burrows-Wheeler transform; the transforms are merged by refining the interleave one symbol a
    round, without sorting suffixes anew. A row that parts from all others leaves the refinement; intervals that stay
    together for 50 rounds are the repeated windows, with the least document of each. Runs of a gram that very many
    parts report are dealt out window by window, by the bytes of the window, so that no bucket gathers them;
@@ -33,6 +33,8 @@ MULTI = np.int64(-1)
 HOT_PARTS = 64
 #: Bytes of text a bucket, of strings that are merged at once, of runs that a part puts together before it sends them, and of text that is hashed at once.
 BUCKET_BYTES, MERGE_BYTES, PART_BYTES, VIEW_BYTES = 2 << 20, 1 << 18, 2 << 20, 1 << 18
+#: Bytes of strings that share a transform: with many parts each sends a bucket a few strings only, too little for one of their own.
+SHARD_BYTES = 1 << 14
 #: Grams that a part puts together before it sends them.
 PART_KEYS = 1 << 20
 
@@ -324,8 +326,9 @@ def merge_transforms(transforms: list[np.ndarray], ends: list[int], rounds: int)
     start = np.cumsum(sizes) - sizes
     longer = np.concatenate([np.empty(0, np.int64), *(_extend(t) + s for t, s in zip(transforms, start, strict=True))])
     symbols = np.concatenate(transforms)
-    rows = np.arange(len(symbols))
-    interval = np.zeros(len(rows), np.int64)
+    number = np.int32 if len(symbols) < 1 << 31 else np.int64
+    longer, rows = longer.astype(number), np.arange(len(symbols), dtype=number)
+    interval = np.zeros(len(rows), number)
     for _ in range(rounds):
         c = symbols[rows]
         live = np.flatnonzero(c)
@@ -335,7 +338,7 @@ def merge_transforms(transforms: list[np.ndarray], ends: list[int], rounds: int)
             break
         edge = np.concatenate([[True], (c[1:] != c[:-1]) | (interval[1:] != interval[:-1])])
         alone = edge & np.append(edge[1:], True)
-        rows, interval = rows[~alone], np.cumsum(edge)[~alone]
+        rows, interval = rows[~alone], np.cumsum(edge, dtype=number)[~alone]
     return rows, interval
 
 
@@ -365,7 +368,7 @@ def least_documents(shards: list[list[bytes]], docs: list[np.ndarray], length: i
 
 
 def _solve(names: pa.Array, shard: np.ndarray, doc: np.ndarray, key: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-    """(where each string's windows begin, their least documents) of distinct strings: sets of whole keys of about MERGE_BYTES are merged."""
+    """(where each string's windows begin, their least documents) of distinct strings: sets of whole keys of about MERGE_BYTES are merged, from shards of about SHARD_BYTES."""
     size = np.asarray(pa.compute.binary_length(names)).astype(np.int64)
     windows = size - length + 1
     begin = np.cumsum(windows) - windows
@@ -379,7 +382,7 @@ def _solve(names: pa.Array, shard: np.ndarray, doc: np.ndarray, key: np.ndarray,
     order, group = order[group >= 0], group[group >= 0]
     for own in np.split(order, np.flatnonzero(np.diff(group)) + 1) if len(order) else []:
         own = own[np.argsort(shard[own], kind="stable")]
-        parts = np.split(own, np.flatnonzero(np.diff(shard[own])) + 1)
+        parts = np.split(own, np.flatnonzero(np.diff((np.cumsum(size[own]) - size[own]) // SHARD_BYTES)) + 1)
         shards = [names.take(pa.array(x)).to_pylist() for x in parts]
         for i, found in zip(own.tolist(), least_documents(shards, [doc[x] for x in parts], length), strict=True):
             least[begin[i] : begin[i] + windows[i]] = found
