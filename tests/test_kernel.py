@@ -42,3 +42,23 @@ def test_a_holed_lattice_peels_away_before_cliques_are_sought(spark):
     edges = [(k, k + 1) for k in range(w * w) if k % w < w - 1] + [(k, k + w) for k in range(w * (w - 1))]
     edges += [(k, k + w + 1) for k in range(w * (w - 1)) if k % w < w - 1 and r.random() < 0.95]
     assert search.decide(graph(spark, edges), P.clique(4)).first()["reps"] == 0
+
+
+@pytest.mark.parametrize("p", [P.path(3, ("u", "v", "w")), P.path(4, ("u", "v", None, "u")), P.cycle(4), P.Pattern(3, ((0, 1), (0, 2), (1, 2)), ("u", None, "u"))])
+def test_labels_leave_every_occurrence(spark, p):
+    r = random.Random(9)
+    edges = [(a, b) for a in range(40) for b in range(a + 1, 40) if r.random() < 0.06]
+    v = spark.createDataFrame([(i, r.choice("uvwx")) for i in range(40)], "id long, label string")
+    g = target_graph(v, spark.createDataFrame(edges, "src long, dst long"))
+    small = K.kernel(g, p)
+    want = sorted(tuple(x["mapping"]) for x in search.join_enumerate(g, p, images=False).collect())
+    assert sorted(tuple(x["mapping"]) for x in search.join_enumerate(small, p, images=False).collect()) == want
+
+
+def test_chains_without_the_asked_neighbours_are_dropped(spark):
+    labels = ["view", "click", "purchase", "view", "view", "click", "view", "error"]
+    v = spark.createDataFrame(list(enumerate(labels)), "id long, label string")
+    g = target_graph(v, spark.createDataFrame([(i, i + 1) for i in range(7)], "src long, dst long"))
+    small = K.kernel(g, P.path(3, ("view", "click", "purchase")))
+    assert sorted(x["id"] for x in small.vertices.collect()) == [0, 1, 2]
+    assert sorted(map(tuple, small.edges.collect())) == [(0, 1), (1, 2)]
