@@ -1,6 +1,7 @@
 """Later repetitions solve only what no earlier one showed."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from coverdp import patterns as P
 from coverdp.model import target_graph
@@ -37,3 +38,9 @@ def test_nothing_is_lost(spark, p, batch):
     g = grid(spark, 12)
     want = sorted(tuple(r["mapping"]) for r in search.join_enumerate(g, p).collect())
     assert want and sorted(tuple(r["mapping"]) for r in search.list_occurrences(g, p, batch=batch).collect()) == want
+
+
+def test_repetitions_are_clustered_in_several_tasks(spark):
+    c = exponential_shift_clustering(grid(spark, 6), 4.0, 12, engine="local")
+    parts = c.select(F.spark_partition_id().alias("part"), "rep").distinct().collect()
+    assert len({r["part"] for r in parts}) > 3 and len(parts) == 12
