@@ -62,3 +62,30 @@ def test_chains_without_the_asked_neighbours_are_dropped(spark):
     small = K.kernel(g, P.path(3, ("view", "click", "purchase")))
     assert sorted(x["id"] for x in small.vertices.collect()) == [0, 1, 2]
     assert sorted(map(tuple, small.edges.collect())) == [(0, 1), (1, 2)]
+
+
+def test_only_edges_to_equal_labels_at_one_vertex_stay(spark):
+    r = random.Random(7)
+    edges = {(a, b) for a in range(40) for b in range(a + 1, 40) if r.random() < 0.08}
+    label = {i: r.choice("abcdefghijklmnop") for i in range(39)}  # the last has none
+    v = spark.createDataFrame([(i, label.get(i)) for i in range(40)], "id long, label string")
+    g = target_graph(v, spark.createDataFrame(sorted(edges), "src long, dst long"))
+    near = {i: [x for e in edges if i in e for x in e if x != i] for i in range(40)}
+    wedges = {(min(a, c), b, max(a, c)) for b in near for a in near[b] for c in near[b] if a != c and label.get(a) == label.get(c) is not None}
+    left = {tuple(x) for x in K.kernel(g, P.WEDGE, (0, 2)).edges.collect()}
+    assert left == {(min(x, b), max(x, b)) for a, b, c in wedges for x in (a, c)}
+    assert 0 < len(left) < len(edges)
+    got = {tuple(x["mapping"]) for x in search.list_occurrences(g, P.WEDGE, alike=(0, 2)).collect()}
+    assert wedges <= {(min(a, c), b, max(a, c)) for a, b, c in got}
+
+
+def test_lines_of_a_repeated_doc_id_are_gathered(spark, tmp_path):
+    from coverdp.sources.graphs import document_line_chain
+
+    for name, rows in (("one", [(1, "a\na\nb\n\na"), (2, None), (3, ""), (4, "x\ny")]), ("two", [(1, "a\nb"), (1, "a\nb")])):
+        spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / name / "documents.parquet"))
+    g = document_line_chain(spark, str(tmp_path / "one"))
+    base = 1 << 20
+    assert {tuple(e) for e in g.edges.collect()} == {(base, base + 1), (base + 1, base + 2), (base + 2, base + 3), (4 * base, 4 * base + 1)}
+    assert "Exchange" not in g.edges._jdf.queryExecution().executedPlan().toString()
+    assert {r["id"] for r in document_line_chain(spark, str(tmp_path / "two")).vertices.collect()} == {base, base + 1}
