@@ -41,3 +41,22 @@ def test_views_of_long_texts():
     _, at, key = S.window_keys(data, offs, 50)
     found = [(offs[rows[t]] + shift[t] + a - o[t], k) for rows, shift, d, o in S._views(data, offs, 50) for t, a, k in [S.window_keys(d, o, 50)]]
     assert np.concatenate([x[0] for x in found]).tolist() == at.tolist() and (np.concatenate([x[1] for x in found]) == key).all()
+
+
+def test_turns_share_the_runs(spark, monkeypatch):
+    docs = pd.read_parquet("/root/testdata/sf0.001/documents.parquet")
+    want = brute.repeats(list(zip(docs.doc_id, docs.text, strict=True)))
+    src = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").repartition(3, "doc_id")
+    monkeypatch.setattr(S, "TURN_BYTES", 1 << 17)
+    write, runs = S.materialise, []
+
+    def counted(df):
+        out = write(df)
+        if "raw" in out.columns:
+            runs.append(out.where("bucket >= 0").count())
+        return out
+
+    monkeypatch.setattr(S, "materialise", counted)
+    got = {r["doc_id"]: (r["n_bytes"], r["n_removed"], len(r["removed"])) for r in S.remove_repeats(src).collect()}
+    assert got == {i: x[:3] for i, x in want.items()}
+    assert len(runs) > 1 and max(runs) < 0.6 * sum(runs)  # no turn exchanges most of the texts
