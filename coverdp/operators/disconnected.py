@@ -9,12 +9,14 @@ from pyspark.sql import functions as F
 
 from coverdp.model import TargetGraph
 from coverdp.operators.clustering import uniform
-from coverdp.operators.search import join_enumerate, least_image, list_occurrences
+from coverdp.operators.search import PART_IDS, join_enumerate, least_image, list_occurrences, part_of
 from coverdp.patterns import Pattern
 from coverdp.runtime import materialise
 
 #: Copies of a graph under different colourings lie side by side: the colouring's number above this bit of an id.
 SHIFT = 52
+#: Vertices of all copies that are searched at once; at least one copy is.
+COPY_IDS = 8_000_000
 
 
 def colourings(g: TargetGraph, colours: int, reps: int, seed: int, first: int = 0) -> TargetGraph:
@@ -49,11 +51,19 @@ def _by_component(g: TargetGraph, pattern: Pattern, reps: int, seed: int, solver
 
 
 def decide_disconnected(g: TargetGraph, pattern: Pattern, confidence: float = 1.0, seed: int = 1, solver: str = "cover") -> DataFrame:
-    """found, colourings: batches of colourings until one shows every component in its own colour, or there were enough. solver: "cover" or "join"."""
-    most, done, batch = colourings_needed(pattern, g.vertices.count(), confidence), 0, 2
+    """found, colourings: batches of colourings until one shows every component in its own colour, or there were enough. solver: "cover" or "join".
+
+    A part of a large graph is searched first, by the same method: what it holds is an answer, and if it holds nothing the whole graph is searched.
+    """
+    n = g.vertices.count()
+    if n > PART_IDS and (part := part_of(g, n)) is not None:
+        got = decide_disconnected(part, pattern, confidence, seed, solver)
+        if got.first()["found"]:
+            return got
+    most, done, batch = colourings_needed(pattern, n, confidence), 0, 2
     found = False
     while done < most and not found:
-        batch = min(batch, most - done)
+        batch = max(1, min(batch, most - done, COPY_IDS // max(1, n)))
         both = None
         for _, got in _by_component(g, pattern, batch, seed, solver, done):
             own = got.select("rep").distinct()

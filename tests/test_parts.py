@@ -2,7 +2,8 @@
 
 from coverdp import patterns as P
 from coverdp.model import target_graph
-from coverdp.operators import search
+from coverdp.operators import clustering, disconnected, search
+from coverdp.sources.graphs import order_lattice_graph
 
 
 def _path_with_triangle(spark, at):
@@ -20,3 +21,23 @@ def test_part_first_then_whole(spark, monkeypatch):
     assert sorted(search.find(_path_with_triangle(spark, 300), P.TRIANGLE)[0]) == [300, 301, 302]
     assert sizes[0] < 60 and sizes[1:] == [400]
     assert search.find(target_graph(None, spark.range(399).selectExpr("id AS src", "id + 1 AS dst")), P.TRIANGLE)[0] is None
+
+
+def test_disconnected_patterns_take_a_part_first_and_few_copies_at_once(spark, tiny, monkeypatch):
+    g = order_lattice_graph(spark, tiny)
+    n = g.vertices.count()
+    sizes, draw = [], disconnected.colourings
+    monkeypatch.setattr(disconnected, "colourings", lambda g, c, reps, *x: sizes.append((g.vertices.count(), reps)) or draw(g, c, reps, *x))
+    monkeypatch.setattr(disconnected, "PART_IDS", 100)
+    monkeypatch.setattr(search, "PART_IDS", 100)
+    monkeypatch.setattr(disconnected, "COPY_IDS", 300)
+    assert disconnected.decide_disconnected(g, P.TWO_TRIANGLES).first()["found"]
+    assert sizes and all(v < n / 2 and reps <= max(1, 300 // v) for v, reps in sizes)
+
+
+def test_local_clustering_gathers_no_rows_of_python_objects(spark, tiny, monkeypatch):
+    g = order_lattice_graph(spark, tiny)
+    want = {tuple(r) for r in clustering.exponential_shift_clustering(g, 6.0, 2, engine="distributed").select("rep", "id", "center", "level", "shift").collect()}
+    monkeypatch.setattr(type(g.edges), "toPandas", None)
+    got = clustering.exponential_shift_clustering(g, 6.0, 2, engine="local").select("rep", "id", "center", "level", "shift").collect()
+    assert {tuple(r) for r in got} == want
