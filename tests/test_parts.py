@@ -1,8 +1,11 @@
 """A large graph is searched by a part first, and wholly where the part holds nothing."""
 
+from pathlib import Path
+
 from coverdp import patterns as P
 from coverdp.model import target_graph
-from coverdp.operators import clustering, disconnected, search
+from coverdp.operators import blocks, clustering, disconnected, search
+from coverdp.runtime import shared_folder
 from coverdp.sources.graphs import order_lattice_graph
 
 
@@ -41,3 +44,20 @@ def test_local_clustering_gathers_no_rows_of_python_objects(spark, tiny, monkeyp
     monkeypatch.setattr(type(g.edges), "toPandas", None)
     got = clustering.exponential_shift_clustering(g, 6.0, 2, engine="local").select("rep", "id", "center", "level", "shift").collect()
     assert {tuple(r) for r in got} == want
+
+
+def test_small_batches_and_turns_list_the_same_and_leave_no_windows(spark, tiny, monkeypatch):
+    g = order_lattice_graph(spark, tiny)
+    want = {tuple(r["mapping"]) for r in search.join_enumerate(g, P.cycle(4)).collect()}
+    monkeypatch.setattr(search, "BATCH_ROWS", 12 * g.vertices.count())
+    monkeypatch.setattr(search, "TURN_ROWS", g.vertices.count() // 2)
+    monkeypatch.setattr(clustering, "LOCAL_EDGES", 10)
+    monkeypatch.setattr(blocks, "BLOCK_IDS", 400)
+    solve, tables = search.solve_pieces, []
+    monkeypatch.setattr(search, "solve_pieces", lambda pieces, *a, **k: tables.append(pieces) or solve(pieces, *a, **k))
+    folder = Path(shared_folder(spark).removeprefix("file:"))
+    before = {x.name for x in folder.iterdir()}
+    got = [tuple(r["mapping"]) for r in search.list_occurrences(g, P.cycle(4)).collect()]
+    assert set(got) == want and len(got) == len(want)
+    assert len(tables) > 3  # several batches, the first of several turns
+    assert all("start" not in spark.read.parquet(str(x)).columns for x in folder.iterdir() if x.name.startswith("coverdp") and x.name not in before)
